@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ertransfer.llm import simhash
+from ertransfer.llm import sharding, simhash, urlrules
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -23,8 +23,25 @@ def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op2_urlrules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = urlrules.judge_urls(_table(spark, sf_dir, "pages"), _table(spark, sf_dir, "labels"))
+    return judged.select(F.col("id").alias("page_id"), "host", "path", "rule", "verdict")
+
+
+def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    placed = sharding.minimax_shards(_table(spark, sf_dir, "documents").select("doc_id", "text"), 40)
+    return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
+
+
+QUERIES = {
+    "op1_simhash": op1_simhash,
+    "op2_urlrules": op2_urlrules,
+    "op10_sharding": op10_sharding,
+}
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_simhash": op1_simhash}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
