@@ -7,7 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ertransfer.llm import sharding, simhash, urlrules
+from ertransfer.llm import decontaminate, mixing, quality, sharding, simhash, urlrules
+
+
+#: Shares of the sources that are to weigh more than the rest.
+TARGET_WEIGHTS = {"src0": 4.0, "src1": 2.0, "src2": 1.0}
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -28,6 +32,22 @@ def op2_urlrules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select(F.col("id").alias("page_id"), "host", "path", "rule", "verdict")
 
 
+def op4_cotraining(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scored = quality.co_train(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+    return scored.select(F.col("row.doc_id").alias("doc_id"), "p_text", "p_meta", "score", "keep")
+
+
+def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    mixed = mixing.mix(_table(spark, sf_dir, "documents").select("doc_id", "text", "source"), TARGET_WEIGHTS)
+    return mixed.select(F.col("row.doc_id").alias("doc_id"), F.col("src").alias("source"), "place", "block", "position")
+
+
+def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    found = decontaminate.digest(decontaminate.find_contamination(docs, _table(spark, sf_dir, "benchmark")))
+    return found.select(F.col("row.doc_id").alias("doc_id"), "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     placed = sharding.minimax_shards(_table(spark, sf_dir, "documents").select("doc_id", "text"), 40)
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
@@ -36,6 +56,9 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_simhash": op1_simhash,
     "op2_urlrules": op2_urlrules,
+    "op4_cotraining": op4_cotraining,
+    "op6_mixing": op6_mixing,
+    "op8_decontaminate": op8_decontaminate,
     "op10_sharding": op10_sharding,
 }
 
