@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ertransfer.llm import decontaminate, mixing, quality, sharding, simhash, urlrules
+from ertransfer.llm import ann, decontaminate, mixing, quality, sharding, simhash, urlrules
 
 
 #: Shares of the sources that are to weigh more than the rest.
@@ -48,6 +48,11 @@ def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select(F.col("row.doc_id").alias("doc_id"), "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
 
 
+def op9_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = _table(spark, sf_dir, "embeddings")
+    return ann.nearest(vectors, vectors.where("vec_id % 100 = 0"), 10)
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     placed = sharding.minimax_shards(_table(spark, sf_dir, "documents").select("doc_id", "text"), 40)
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
@@ -59,6 +64,7 @@ QUERIES = {
     "op4_cotraining": op4_cotraining,
     "op6_mixing": op6_mixing,
     "op8_decontaminate": op8_decontaminate,
+    "op9_graph": op9_graph,
     "op10_sharding": op10_sharding,
 }
 
