@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ertransfer.llm import ann, decontaminate, mixing, quality, sharding, simhash, urlrules
+from ertransfer.llm import ann, ctw, decontaminate, mixing, quality, sharding, simhash, urlrules
 
 
 #: Shares of the sources that are to weigh more than the rest.
@@ -37,6 +37,16 @@ def op4_cotraining(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select(F.col("row.doc_id").alias("doc_id"), "p_text", "p_meta", "score", "keep")
 
 
+def op5_ctw(spark: SparkSession, sf_dir: str) -> DataFrame:
+    held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2
+    scored = ctw.score_texts(_table(spark, sf_dir, "documents").select("doc_id", "text"), ~held)
+    return scored.select(
+        F.col("row.doc_id").alias("doc_id"),
+        (F.crc32(F.col("row.doc_id").cast("string").cast("binary")) % 7 == 2).alias("held_out"),
+        "n_tokens", "n_known", "train_tokens", "base_score", "score",
+    )
+
+
 def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixed = mixing.mix(_table(spark, sf_dir, "documents").select("doc_id", "text", "source"), TARGET_WEIGHTS)
     return mixed.select(F.col("row.doc_id").alias("doc_id"), F.col("src").alias("source"), "place", "block", "position")
@@ -62,6 +72,7 @@ QUERIES = {
     "op1_simhash": op1_simhash,
     "op2_urlrules": op2_urlrules,
     "op4_cotraining": op4_cotraining,
+    "op5_ctw": op5_ctw,
     "op6_mixing": op6_mixing,
     "op8_decontaminate": op8_decontaminate,
     "op9_graph": op9_graph,
