@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ertransfer.llm import ann, ctw, decontaminate, mixing, quality, sharding, simhash, urlrules
+from ertransfer.llm import ann, ctw, decontaminate, mixing, paragraphs, quality, sharding, simhash, urlrules
 
 
 #: Shares of the sources that are to weigh more than the rest.
@@ -52,6 +52,11 @@ def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select(F.col("row.doc_id").alias("doc_id"), F.col("src").alias("source"), "place", "block", "position")
 
 
+def op7_paragraphs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    repeated = paragraphs.repeated_paragraphs(_table(spark, sf_dir, "documents"))
+    return repeated.select(F.col("id").alias("doc_id"), "para", F.col("lead_id").alias("lead_doc_id"), "lead_para", "removed")
+
+
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     found = decontaminate.digest(decontaminate.find_contamination(docs, _table(spark, sf_dir, "benchmark")))
@@ -74,6 +79,7 @@ QUERIES = {
     "op4_cotraining": op4_cotraining,
     "op5_ctw": op5_ctw,
     "op6_mixing": op6_mixing,
+    "op7_paragraphs": op7_paragraphs,
     "op8_decontaminate": op8_decontaminate,
     "op9_graph": op9_graph,
     "op10_sharding": op10_sharding,
