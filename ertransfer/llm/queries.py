@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ertransfer.llm import ann, ctw, decontaminate, mixing, paragraphs, quality, sharding, simhash, urlrules
+from ertransfer.llm import ann, ctw, decontaminate, mixing, paragraphs, quality, sharding, simhash, suffixes, urlrules
 
 
 #: Shares of the sources that are to weigh more than the rest.
@@ -32,6 +32,11 @@ def op2_urlrules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select(F.col("id").alias("page_id"), "host", "path", "rule", "verdict")
 
 
+def op3_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = suffixes.digest(suffixes.remove_repeats(_table(spark, sf_dir, "documents").select("doc_id", "text")))
+    return found.select(F.col("row.doc_id").alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
 def op4_cotraining(spark: SparkSession, sf_dir: str) -> DataFrame:
     scored = quality.co_train(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
     return scored.select(F.col("row.doc_id").alias("doc_id"), "p_text", "p_meta", "score", "keep")
@@ -76,6 +81,7 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_simhash": op1_simhash,
     "op2_urlrules": op2_urlrules,
+    "op3_suffixes": op3_suffixes,
     "op4_cotraining": op4_cotraining,
     "op5_ctw": op5_ctw,
     "op6_mixing": op6_mixing,
