@@ -160,9 +160,16 @@ def _direct(at: np.ndarray, word: np.ndarray, parts: list) -> np.ndarray:
         tied = np.flatnonzero(np.r_[False, equal] | np.r_[equal, False])
         if not len(tied):
             break
-        key = word[order[tied] + offset] & mask
-        by = np.lexsort((key, group[tied]))
-        order[tied], key, of = order[tied][by], key[by], group[tied][by]
+        key, of = word[order[tied] + offset] & mask, group[tied]
+        mixed = of[1:][(key[1:] != key[:-1]) & (of[1:] == of[:-1])]
+        if not len(mixed):
+            continue
+        apart = np.zeros(int(group[-1]) + 1, bool)
+        apart[mixed] = True
+        some = apart[of]  # groups of one key stay as they are
+        tied, key, of = tied[some], key[some], of[some]
+        by = np.lexsort((key, of))
+        order[tied], key = order[tied][by], key[by]
         step = np.ones(len(order), bool)
         step[1:] = ~equal
         step[tied[1:]] |= (key[1:] != key[:-1]) & (of[1:] == of[:-1])
@@ -327,21 +334,30 @@ def _cut(span: int):
     return run
 
 
-def _apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _apply(text_at: int):
     kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
-    for piece in text_pieces(batches, "text"):
-        spans, kept = [], []
-        for gone, raw in zip(piece.rows.column("gone").to_pylist(), piece.raw()):
-            runs: list[list[int]] = []
-            for a, b in sorted((g["lo"], g["to"]) for g in gone or ()):
-                if runs and a <= runs[-1][1]:
-                    runs[-1][1] = max(b, runs[-1][1])
-                else:
-                    runs.append([a, b])
-            spans.append([{"start": a, "end": b} for a, b in runs])
-            inner = [0, *(x for r in runs for x in r), len(raw)]
-            kept.append(b"".join(raw[a:b] for a, b in zip(inner[::2], inner[1::2])))
-        yield pa.RecordBatch.from_arrays([piece.rows.column("row"), piece.rows.column("id"), piece.rows.column("tie"), pa.array(np.diff(piece.starts)), pa.array(spans, kind), pa.array(kept, pa.binary())], ["row", "id", "tie", "n_bytes", "spans", "kept"])
+
+    def with_text(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            text = batch.column("row").field(text_at).cast(pa.string())
+            yield pa.RecordBatch.from_arrays([*batch.columns, text], [*batch.schema.names, "text"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for piece in text_pieces(with_text(batches), "text"):
+            spans, kept = [], []
+            for gone, raw in zip(piece.rows.column("gone").to_pylist(), piece.raw()):
+                runs: list[list[int]] = []
+                for a, b in sorted((g["lo"], g["to"]) for g in gone or ()):
+                    if runs and a <= runs[-1][1]:
+                        runs[-1][1] = max(b, runs[-1][1])
+                    else:
+                        runs.append([a, b])
+                spans.append([{"start": a, "end": b} for a, b in runs])
+                inner = [0, *(x for r in runs for x in r), len(raw)]
+                kept.append(b"".join(raw[a:b] for a, b in zip(inner[::2], inner[1::2])))
+            yield pa.RecordBatch.from_arrays([piece.rows.column("row"), piece.rows.column("id"), piece.rows.column("tie"), pa.array(np.diff(piece.starts)), pa.array(spans, kind), pa.array(kept, pa.binary())], ["row", "id", "tie", "n_bytes", "spans", "kept"])
+
+    return run
 
 
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, limit: int = ARRAY_BYTES) -> DataFrame:
@@ -374,9 +390,9 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     )
     gone = settle(gone, "gone")
     release(sifted, slices, judged)
-    rows = docs.select(F.struct(*docs.columns).alias("row"), *place, text.alias("text"))
+    rows = docs.select(F.struct(*docs.columns).alias("row"), *place)
     shape = docs.select(F.struct(*docs.columns).alias("row")).schema["row"].dataType.simpleString()
-    done = rows.join(gone, [*_PLACE], "left").select("row", *_PLACE, "text", "gone").mapInArrow(_apply, f"row {shape}, id long, tie long, n_bytes long, spans array<struct<start: bigint, end: bigint>>, kept binary")
+    done = rows.join(gone, [*_PLACE], "left").select("row", *_PLACE, "gone").mapInArrow(_apply(docs.columns.index(text_col)), f"row {shape}, id long, tie long, n_bytes long, spans array<struct<start: bigint, end: bigint>>, kept binary")
     twice = texts.groupBy(*_PLACE).agg(F.count("*").alias("n")).where("n > 1").drop("n")
     if not twice.isEmpty():
         twice = settle(twice, "twice")
