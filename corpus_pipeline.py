@@ -11,12 +11,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ertransfer.durable import partitions_for, settle
-from ertransfer.llm import decontaminate, mixing, quality, sharding, simhash
+from ertransfer.llm import decontaminate, mixing, near, quality, sharding
 from ertransfer.llm.queries import TARGET_WEIGHTS
 
 SHARDS = 40
-#: Words of a shingle in the near-duplicate stage.
-SHINGLE = 5
+#: Least similarity of a link in the near-duplicate stage.
+NEAR = 0.8
 
 
 def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -25,11 +25,18 @@ def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def distinct_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of least id of each near-duplicate group, once; documents without id are not compared and stay."""
-    named = docs.where("doc_id is not null")
-    groups = simhash.near_duplicate_groups(named, width=SHINGLE)
-    leads = groups.where("id = component").select(F.col("id").alias("doc_id")).distinct()
-    return named.join(leads, "doc_id", "left_semi").dropDuplicates(["doc_id"]).union(docs.where("doc_id is null"))
+    """One document of each group whose texts are equal or linked by a Jaccard similarity of NEAR over word 5-shingles.
+
+    The row of least id stays (rows without id come last, ties go by text); texts without words are copies of each
+    other. Rows that share an id but not a text are different documents.
+    """
+    keyed = docs.select("*", near.text_key(F.col("text")).alias("_key"))
+    groups = near.near_copies(keyed.select(F.col("_key").alias("key"), "text"), NEAR)
+    # A hot text makes one large join key; the aggregation is on another key, so AQE may split the join.
+    of = keyed.select("doc_id", "_key").join(groups.withColumnRenamed("node", "_key"), "_key", "left")
+    lead = of.groupBy(F.coalesce("component", "_key").alias("_of")).agg(F.min(F.struct(F.isnull("doc_id").alias("none"), "doc_id", "_key")).alias("lead"))
+    kept = keyed.join(lead.select(F.col("lead.doc_id").alias("_id"), F.col("lead._key").alias("_lead")), (F.col("_key") == F.col("_lead")) & F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
+    return kept.dropDuplicates(["doc_id", "_key"]).select(*docs.columns)
 
 
 def clean_of_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
