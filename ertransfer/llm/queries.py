@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ertransfer.llm import ann, ctw, decontaminate, mixing, paragraphs, quality, sharding, simhash, suffixes, urlrules
+from ertransfer.llm import ann, ctw, decontaminate, mixing, paragraphs, passages, quality, sharding, simhash, suffixes, urlrules
 
 
 #: Shares of the sources that are to weigh more than the rest.
@@ -58,8 +58,11 @@ def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_paragraphs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    repeated = paragraphs.repeated_paragraphs(_table(spark, sf_dir, "documents"))
-    return repeated.select(F.col("id").alias("doc_id"), "para", F.col("lead_id").alias("lead_doc_id"), "lead_para", "removed")
+    docs = _table(spark, sf_dir, "documents")
+    none = F.lit(None).cast("long")
+    lines = paragraphs.repeated_paragraphs(docs).select("id", "para", none.alias("word"), F.lit(None).cast("int").alias("n_words"), "lead_id", "lead_para", none.alias("lead_word"), "removed")
+    repeated = lines.union(passages.repeated_passages(docs).select(*lines.columns))  # word is null for whole lines
+    return repeated.select(F.col("id").alias("doc_id"), "para", F.col("lead_id").alias("lead_doc_id"), "lead_para", "removed", "word", "n_words", "lead_word")
 
 
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
