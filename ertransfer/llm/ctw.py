@@ -163,7 +163,10 @@ def _in_blocks(rows: DataFrame, table: DataFrame, key: str, value: str, depth: i
 
 
 def score_texts(docs: DataFrame, train: Column, text_col: str = "text", depth: int = DEPTH) -> DataFrame:
-    """Rows (row struct of all columns, n_tokens, n_known, train_tokens, base_score, score) for every row of ``docs``.
+    """Rows (row struct of all columns, n_tokens, n_known, train_tokens, base_score, base_norm, score) for every row of ``docs``.
+
+    ``base_norm`` is the base whose probabilities add up to one over the known tokens and one unknown: (c + 1) / (N + V + 1);
+    ``base_score`` divides by (N + 1) * (V + 1) and is no probability.
 
     ``train`` says which rows are learnt from (null: not). Null texts are empty and have the end token alone; with no
     training rows every bit is coded at one half and no token is known; an empty table gives no rows.
@@ -182,5 +185,7 @@ def score_texts(docs: DataFrame, train: Column, text_col: str = "text", depth: i
     rows = _in_blocks(rows, tokens.select("token", F.log10(F.col("n") + 1.0).alias("lc")), "token", "lc", depth, True)
     rows = _in_blocks(rows, model, "code", "lp", depth, False)
     floor = np.log10((total + 1.0) * (distinct + 1.0))
+    whole = np.log10(total + distinct + 1.0)
     release(sums, model)
-    return rows.select("row", "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), (F.col("base") - F.col("n_tokens") * F.lit(float(floor))).alias("base_score"), "score")
+    base = lambda x: F.col("base") - F.col("n_tokens") * F.lit(float(x))
+    return rows.select("row", "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), base(floor).alias("base_score"), base(whole).alias("base_norm"), "score")

@@ -48,7 +48,7 @@ def op5_ctw(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select(
         F.col("row.doc_id").alias("doc_id"),
         (F.crc32(F.col("row.doc_id").cast("string").cast("binary")) % 7 == 2).alias("held_out"),
-        "n_tokens", "n_known", "train_tokens", "base_score", "score",
+        "n_tokens", "n_known", "train_tokens", "base_score", "base_norm", "score",
     )
 
 
