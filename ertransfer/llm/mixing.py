@@ -11,6 +11,8 @@ a table of slots. A row's block follows from its place inside its source, its po
 from __future__ import annotations
 
 import heapq
+from fractions import Fraction
+from math import gcd, lcm
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -18,25 +20,26 @@ from pyspark.sql.window import Window
 
 from ertransfer.durable import partitions_for, settle
 
-#: Slots of one period of the schedule.
-PERIOD = 1000
+#: Slots of the longest period that is laid out.
+LONGEST = 2_000_000
 
 
-def whole_weights(weights: dict[str | None, float], period: int = PERIOD) -> dict[str | None, int]:
-    """Weights as whole numbers that add up to ``period``, by largest remainders; at least one each."""
-    total = float(sum(weights.values()))
-    if not weights or total <= 0 or min(weights.values()) <= 0:
+def exact(weight) -> Fraction:
+    """The weight as it is written: 0.1 is a tenth."""
+    return weight if isinstance(weight, Fraction) else Fraction(str(weight))
+
+
+def whole_weights(weights: dict[str | None, float]) -> dict[str | None, int]:
+    """Weights as the least whole numbers in exactly the same proportions; their sum is the period."""
+    if not weights or min(weights.values()) <= 0:
         raise ValueError("weights must be positive")
-    period = max(period, len(weights))
-    exact = {s: w / total * period for s, w in weights.items()}
-    whole = {s: max(1, int(x)) for s, x in exact.items()}
-    order = sorted(exact, key=lambda s: (-(exact[s] - int(exact[s])), str(s)))
-    while (short := period - sum(whole.values())) > 0:
-        for s in order[:short]:
-            whole[s] += 1
-    while sum(whole.values()) > period:
-        whole[max(whole, key=lambda s: (whole[s] - exact[s], whole[s], str(s)))] -= 1
-    return whole
+    shares = {s: exact(w) for s, w in weights.items()}
+    scale = lcm(*(x.denominator for x in shares.values()))
+    whole = {s: int(x * scale) for s, x in shares.items()}
+    common = gcd(*whole.values())
+    if (period := sum(whole.values()) // common) > LONGEST:
+        raise ValueError(f"these weights repeat only after {period} slots; give weights of fewer digits")
+    return {s: w // common for s, w in whole.items()}
 
 
 def schedule(whole: dict[str | None, int]) -> list[str | None]:
@@ -76,7 +79,7 @@ def _ranked(rows: DataFrame, source: Column, order: list[Column]) -> DataFrame:
     )
 
 
-def mix(rows: DataFrame, weights: dict[str | None, float] | None = None, source_col: str = "source", order_cols: tuple[str, ...] = ("doc_id", "text"), block: int = 1, period: int = PERIOD) -> DataFrame:
+def mix(rows: DataFrame, weights: dict[str | None, float] | None = None, source_col: str = "source", order_cols: tuple[str, ...] = ("doc_id", "text"), block: int = 1) -> DataFrame:
     """Rows (row struct, src, place, block, position long): reading by position interleaves the sources by weight.
 
     ``weights`` names the share of each source (default: all equal); sources without a weight share the mean weight.
@@ -85,14 +88,14 @@ def mix(rows: DataFrame, weights: dict[str | None, float] | None = None, source_
     """
     spark = rows.sparkSession
     found = [r[0] for r in rows.select(F.col(source_col).cast("string")).distinct().collect()]  # a row for each source
-    given = dict(weights or {})
-    mean = sum(given.values()) / len(given) if given else 1.0
+    given = {s: exact(w) for s, w in (weights or {}).items()}
+    mean = sum(given.values()) / len(given) if given else Fraction(1)
     shares = {s: given.get(s, mean) for s in found}
     order = [F.col(c) if c != "text" else F.xxhash64(c) for c in order_cols]
     ranked = _ranked(rows, F.col(source_col).cast("string"), order)
     if not shares:
-        shares = {None: 1.0}
-    whole = whole_weights(shares, period)
+        shares = {None: Fraction(1)}
+    whole = whole_weights(shares)
     slots, seen = [], dict.fromkeys(whole, 0)
     for slot, s in enumerate(schedule(whole)):
         slots.append((s, seen[s], slot, whole[s]))
