@@ -26,13 +26,15 @@ WORD = re.compile(rb"[^\x20\x09-\x0D]+")
 DEPTH = 3
 END = 255
 #: Rows of a table of grams or of tokens that one broadcast may hold.
-BLOCK_ROWS = 4_000_000
+BLOCK_ROWS = 1_000_000
 
 
 def grams_of(text: bytes, depth: int) -> np.ndarray:
     """One code for each byte of the lower-cased text and for its end: the byte, below the bytes before it (0 pads)."""
     data = np.frombuffer(b"\0" * depth + text.lower() + bytes([END]), np.uint8).astype(np.int64)
     n = len(data) - depth
+    if depth > 6:
+        raise ValueError("a gram of over seven bytes does not fit a positive long")
     code = np.zeros(n, np.int64)
     for i in range(depth + 1):
         code = (code << 8) | data[i : i + n]

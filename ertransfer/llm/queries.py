@@ -12,6 +12,8 @@ from ertransfer.llm import ann, ctw, decontaminate, mixing, paragraphs, passages
 
 #: Shares of the sources that are to weigh more than the rest.
 TARGET_WEIGHTS = {"src0": 4.0, "src1": 2.0, "src2": 1.0}
+#: Bytes of context of the language model.
+CONTEXT_BYTES = 5
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -44,7 +46,7 @@ def op4_cotraining(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_ctw(spark: SparkSession, sf_dir: str) -> DataFrame:
     held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2
-    scored = ctw.score_texts(_table(spark, sf_dir, "documents").select("doc_id", "text"), ~held)
+    scored = ctw.score_texts(_table(spark, sf_dir, "documents").select("doc_id", "text"), ~held, depth=CONTEXT_BYTES)
     return scored.select(
         F.col("row.doc_id").alias("doc_id"),
         (F.crc32(F.col("row.doc_id").cast("string").cast("binary")) % 7 == 2).alias("held_out"),
