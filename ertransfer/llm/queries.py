@@ -46,11 +46,11 @@ def op4_cotraining(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_ctw(spark: SparkSession, sf_dir: str) -> DataFrame:
     held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2
-    scored = ctw.score_texts(_table(spark, sf_dir, "documents").select("doc_id", "text"), ~held, depth=CONTEXT_BYTES)
+    scored = ctw.score_texts(_table(spark, sf_dir, "documents").select("doc_id", "text"), ~held, depth=CONTEXT_BYTES, keep=["doc_id"])
     return scored.select(
         F.col("row.doc_id").alias("doc_id"),
         (F.crc32(F.col("row.doc_id").cast("string").cast("binary")) % 7 == 2).alias("held_out"),
-        "n_tokens", "n_known", "train_tokens", "base_score", "base_norm", "score",
+        "n_tokens", "n_known", "train_tokens", "base_score", "base_norm", "score", "bits_per_byte",
     )
 
 
