@@ -34,12 +34,12 @@ END = 255
 #: Bytes of context that a task's subtrees share.
 ROOT = 2
 #: Rows of a table of grams or of words that is broadcast, whatever the size of the model.
-BLOCK_ROWS = 2_000_000
+BLOCK_ROWS = 1_000_000
 #: The end of a text as a word.
 END_WORD = np.uint64(0xE0D0E0D0E0D0E0D1)
 #: Grams that a task holds before it passes on their counts, and before it works out whole subtrees.
-HELD_GRAMS = 3_000_000
-PIECE = 2 << 20
+HELD_GRAMS = 2_000_000
+PIECE = 1 << 20
 
 
 def grams_of(text: bytes, depth: int) -> np.ndarray:
@@ -272,17 +272,17 @@ def gram_model(grams: DataFrame, depth: int = DEPTH) -> DataFrame:
 
 
 class _Lookup:
-    """Values of codes by open addressing in flat arrays."""
+    """Values of codes by open addressing in flat arrays; -1 marks a free place and is no code."""
 
     def __init__(self, keys: np.ndarray, values: np.ndarray):
         self.bits = max(4, int(2 * len(keys)).bit_length())
-        self.keys, self.values, self.full = np.zeros(1 << self.bits, np.int64), np.zeros(1 << self.bits), np.zeros(1 << self.bits, bool)
+        self.keys, self.values = np.full(1 << self.bits, -1, np.int64), np.zeros(1 << self.bits)
         at = self._place(keys)
         while len(keys):
-            free = ~self.full[at]
+            free = self.keys[at] == -1
             slot, who = np.unique(at[free], return_index=True)
             won = np.flatnonzero(free)[who]
-            self.keys[slot], self.values[slot], self.full[slot] = keys[won], values[won], True
+            self.keys[slot], self.values[slot] = keys[won], values[won]
             lost = np.ones(len(keys), bool)
             lost[won] = False
             keys, values, at = keys[lost], values[lost], (at[lost] + 1) & ((1 << self.bits) - 1)
@@ -291,14 +291,21 @@ class _Lookup:
         return ((keys.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - self.bits)).astype(np.int64)
 
     def get(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(values, found) for ``keys``."""
-        out, found = np.zeros(len(keys)), np.zeros(len(keys), bool)
-        which, at = np.arange(len(keys)), self._place(keys)
+        """(values, found) for ``keys``; codes not held have the value 0."""
+        at = self._place(keys)
+        met = self.keys[at]
+        found = met == keys
+        out = self.values[at]
+        out[~found] = 0
+        which = np.flatnonzero(~found & (met != -1))
+        at = at[which]
         while len(which):
-            hit = self.full[at] & (self.keys[at] == keys[which])
+            at = (at + 1) & ((1 << self.bits) - 1)
+            met = self.keys[at]
+            hit = met == keys[which]
             out[which[hit]], found[which[hit]] = self.values[at[hit]], True
-            on = self.full[at] & ~hit
-            which, at = which[on], (at[on] + 1) & ((1 << self.bits) - 1)
+            on = ~hit & (met != -1)
+            which, at = which[on], at[on]
         return out, found
 
 
