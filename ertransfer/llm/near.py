@@ -1,7 +1,7 @@
 """Groups of near copies among whole texts: MinHash bands, exact Jaccard over word shingles, connected components.
 
 Only texts that share a band with another one are shingled again and brought together; every band is walked whole, so
-a pair at the threshold is lost only if none of the bands agrees (a chance below 1e-5 at 0.8).
+a pair at the threshold is lost only if none of the bands agrees (a chance below 1e-4 at the threshold).
 """
 
 from __future__ import annotations
@@ -13,10 +13,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ertransfer.durable import partitions_for, release, settle
+from ertransfer.llm.banding import WIDTH, band_rows, distinct_sets, linked
 from ertransfer.llm.batches import text_pieces
-from ertransfer.llm.components import connected_components
-from ertransfer.llm.paragraphs import _links, bands_of, shingle_hashes
+from ertransfer.llm.words import shingles_of, words_of
 
 
 def text_key(text: Column) -> Column:
@@ -24,21 +23,31 @@ def text_key(text: Column) -> Column:
     return F.unhex(F.md5(F.coalesce(text, F.lit("")).cast("binary")))
 
 
-def _sets(piece) -> list[np.ndarray]:
-    return [shingle_hashes(t.lower().split()) for t in piece.raw()]
+def _shingled(piece) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles of each text of a piece; a text without words has a shingle of its own kind."""
+    found = words_of(piece.data, piece.starts)
+    counts = np.bincount(found.owner, minlength=len(piece.starts) - 1)
+    empty = counts == 0
+    # A text without words is given one word that no text can hold.
+    bounds = np.r_[0, np.cumsum(np.maximum(1, counts))]
+    value = np.full(bounds[-1], np.uint64(0x0123456789ABCDEF))
+    place = np.arange(len(found.owner)) + np.cumsum(empty)[found.owner]
+    value[place] = found.value
+    return shingles_of(value, bounds, WIDTH)
 
 
-def _bands(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for piece in text_pieces(batches, "text"):
-        bands = [bands_of(s).view(np.int64) for s in _sets(piece)]
-        flat = pa.array(np.concatenate(bands))
-        offsets = pa.array(np.arange(len(bands) + 1, dtype=np.int32) * len(bands[0]))
-        yield pa.RecordBatch.from_arrays([piece.rows.column("key"), pa.ListArray.from_arrays(offsets, flat)], ["key", "bands"])
+def _bands(least: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for piece in text_pieces(batches, "text", 1 << 20):
+            yield from band_rows(piece.rows.column("key").to_pylist(), *_shingled(piece), least)
 
+    return run
 
-def _shingles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for piece in text_pieces(batches, "text"):
-        yield pa.RecordBatch.from_arrays([piece.rows.column("key"), pa.array([s.tobytes() for s in _sets(piece)], pa.binary())], ["key", "shingles"])
+
+def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for piece in text_pieces(batches, "text", 1 << 20):
+        sets = distinct_sets(*_shingled(piece))
+        yield pa.RecordBatch.from_arrays([piece.rows.column("key"), pa.array([s.tobytes() for s in sets], pa.binary())], ["key", "shingles"])
 
 
 def near_copies(texts: DataFrame, least: float = 0.8) -> DataFrame:
@@ -47,16 +56,10 @@ def near_copies(texts: DataFrame, least: float = 0.8) -> DataFrame:
     Links are a Jaccard similarity of ``least`` or more over the distinct shingles of five lower-cased words; a text of
     fewer words is one shingle. The component is the least key in it.
     """
-    n = partitions_for(texts.sparkSession)
-    bands = settle(texts.mapInArrow(_bands, "key binary, bands array<bigint>").groupBy("key").agg(F.first("bands").alias("bands")), "bands")
-    banded = bands.select("key", F.explode("bands").alias("band"))
-    groups = banded.groupBy("band").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("key")).alias("who")).where("n > 1")
-    groups = groups.groupBy("n", "who").agg(F.min("band").alias("band")).select("band")
-    met = settle(banded.join(groups, "band").select("band", "key"), "met")
-    # The map between join and aggregation lets AQE split the join where one text has very many copies.
-    asked = texts.join(met.select("key").distinct(), "key", "left_semi").select("key", "text")
-    sets = settle(asked.mapInArrow(_shingles, "key binary, shingles binary").groupBy("key").agg(F.first("shingles").alias("shingles")), "shingles")
-    laid = met.join(sets, "key").select("band", "key", "shingles").repartition(n, "band").sortWithinPartitions("band")
-    parts = settle(connected_components(laid.mapInArrow(_links(least), "a binary, b binary")), "near")
-    release(bands, met, sets)
-    return parts
+
+    def shingles(keys: DataFrame) -> DataFrame:
+        # The map between join and aggregation lets AQE split the join where one text has very many copies.
+        asked = texts.join(keys, "key", "left_semi").select("key", "text")
+        return asked.mapInArrow(_sets, "key binary, shingles binary").groupBy("key").agg(F.first("shingles").alias("shingles"))
+
+    return linked(texts.mapInArrow(_bands(least), "band long, key binary"), shingles, least)

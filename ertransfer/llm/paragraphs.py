@@ -1,8 +1,7 @@
 """Substring dedup at the level of paragraphs: MinHash bands, exact Jaccard, connected components.
 
-Equal paragraphs meet in one hash first. Of the distinct ones, those that collide in a band are brought together with
-their shingles, sorted by band, and walked: each finds its exact neighbours, giving a spanning forest of the links,
-never all pairs. Bands that hold the same members are walked once.
+Equal paragraphs meet in one key first. Bands are tuned to the threshold and computed where the text lies; texts of
+paragraphs travel only if a band met another paragraph, and then once for each distinct paragraph.
 """
 
 from __future__ import annotations
@@ -15,122 +14,95 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ertransfer.durable import partitions_for, release, settle
+from ertransfer.durable import release, settle
+from ertransfer.llm.banding import WIDTH, band_rows, linked
 from ertransfer.llm.batches import text_pieces
-from ertransfer.llm.components import connected_components
+from ertransfer.llm.words import Words, shingles_of, words_of
 
-WIDTH = 5
-#: 25 bands of 4 rows miss a pair of similarity 0.8 with a chance below 1e-5.
-BANDS, ROWS = 25, 4
-_A = np.random.default_rng(11).integers(1, 1 << 63, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
 
+def _lines(piece) -> tuple[Words, np.ndarray, np.ndarray, np.ndarray]:
+    """(words, bounds, text number, line number) of the lines that hold a word; bounds are places among the words."""
+    found = words_of(piece.data, piece.starts)
+    ends = np.flatnonzero(piece.data == 10)
+    line = np.searchsorted(ends, found.begin, "left")  # line breaks before each word, in the whole piece
+    first = np.flatnonzero(np.r_[True, (line[1:] != line[:-1]) | (found.owner[1:] != found.owner[:-1])][: len(line)])
+    owner = found.owner[first]
+    return found, np.r_[first, len(line)], owner, line[first] - np.searchsorted(ends, piece.starts[owner], "left")
 
-def shingle_hashes(words: list[bytes], width: int = WIDTH) -> np.ndarray:
-    """Sorted distinct 64-bit hashes of the word shingles; fewer words are one shingle."""
-    grams = [b" ".join(words[i : i + width]) for i in range(max(1, len(words) - width + 1))]
-    return np.unique(np.array([xxhash.xxh3_64_intdigest(g) for g in grams], np.uint64))
 
-
-def bands_of(shingles: np.ndarray) -> np.ndarray:
-    """One hash for each band."""
-    least = np.full(BANDS * ROWS, np.iinfo(np.uint64).max, np.uint64)
-    for lo in range(0, len(shingles), 4096):
-        x = shingles[lo : lo + 4096, None] * _A[None]
-        x ^= x >> np.uint64(29)
-        x *= np.uint64(0xBF58476D1CE4E5B9)
-        x ^= x >> np.uint64(32)
-        least = np.minimum(least, x.min(0))
-    return np.array([xxhash.xxh3_64_intdigest(least[i * ROWS : (i + 1) * ROWS].tobytes(), i) for i in range(BANDS)], np.uint64)
+def _keys(found: Words, bounds: np.ndarray) -> list[bytes]:
+    """128 bits for the word sequence of each line."""
+    raw = found.lower.tobytes()
+    begin, end = found.begin[bounds[:-1]].tolist(), found.end[bounds[1:] - 1].tolist()
+    return [xxhash.xxh3_128_digest(b" ".join(raw[a:b].split())) for a, b in zip(begin, end)]
 
 
 def paragraphs(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """Rows (id, para, key binary, text): lines that hold a word; key hashes the lower-cased words."""
+    """Rows (id, para, key binary): lines that hold a word; key hashes the lower-cased words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for piece in text_pieces(batches, "text"):
-            ids, nums, keys, texts = [], [], [], []
-            for i, raw in zip(piece.rows.column("id").to_pylist(), piece.raw()):
-                for n, line in enumerate(raw.split(b"\n")):
-                    if words := line.lower().split():
-                        joined = b" ".join(words)
-                        ids.append(i)
-                        nums.append(n)
-                        keys.append(xxhash.xxh3_128_digest(joined))
-                        texts.append(joined)
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(nums, pa.int32()), pa.array(keys, pa.binary()), pa.array(texts, pa.binary())], ["id", "para", "key", "text"])
-
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    return rows.mapInArrow(run, "id long, para int, key binary, text binary")
-
-
-def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        sets = [shingle_hashes(t.split()) for t in batch.column("text").to_pylist()]
-        bands = [bands_of(s).view(np.int64).tolist() for s in sets]
-        yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array(bands, pa.list_(pa.int64()))], ["key", "shingles", "bands"])
-
-
-def _walk(members: dict[bytes, np.ndarray], least: float) -> list[tuple[bytes, bytes]]:
-    """Spanning forest of the pairs at ``least`` Jaccard or more; sizes out of range are never compared."""
-    left, edges = dict(members), []
-    while left:
-        queue = [left.popitem()]
-        while queue and left:
-            key, x = queue.pop()
-            for other, y in list(left.items()):
-                if min(len(x), len(y)) < least * max(len(x), len(y)):
-                    continue
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                if both >= least * (len(x) + len(y) - both):
-                    edges.append((key, other))
-                    queue.append((other, left.pop(other)))
-    return edges
-
-
-def _links(least: float):
+        for piece in text_pieces(batches, "text", 1 << 20):
+            found, bounds, owner, line = _lines(piece)
+            yield pa.RecordBatch.from_arrays([piece.rows.column("id").take(pa.array(owner)), pa.array(line.astype(np.int32)), pa.array(_keys(found, bounds), pa.binary())], ["id", "para", "key"])
+
+    return _texts(docs, id_col, text_col).mapInArrow(run, "id long, para int, key binary")
+
+
+def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
+
+
+def _bands(least: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, members = None, {}
-
-        def flush():
-            edges = _walk(members, least)
-            return pa.RecordBatch.from_arrays([pa.array([e[0] for e in edges], pa.binary()), pa.array([e[1] for e in edges], pa.binary())], ["a", "b"])
-
-        for batch in batches:
-            for band, key, raw in zip(*(batch.column(c).to_pylist() for c in ("band", "key", "shingles"))):
-                if band != now:
-                    if len(members) > 1:
-                        yield flush()
-                    now, members = band, {}
-                members[key] = np.frombuffer(raw, np.uint64)
-        if len(members) > 1:
-            yield flush()
+        for piece in text_pieces(batches, "text", 1 << 20):
+            found, bounds, *_ = _lines(piece)
+            if len(bounds) > 1:
+                yield from band_rows(_keys(found, bounds), *shingles_of(found.value, bounds, WIDTH), least)
 
     return run
 
 
+def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Shingles of the lines that are asked for, from rows (text, wanted: lines of the text, null for all)."""
+    for piece in text_pieces(batches, "text", 1 << 20):
+        found, bounds, owner, line = _lines(piece)
+        wanted = piece.rows.column("wanted").to_pylist()
+        asked = [None if w is None else set(w) for w in wanted]
+        pick = [k for k, (o, n) in enumerate(zip(owner.tolist(), line.tolist())) if asked[o] is None or n in asked[o]]
+        keys = _keys(found, bounds)
+        shingles, ends = shingles_of(found.value, bounds, WIDTH) if len(bounds) > 1 else (np.zeros(0, np.uint64), np.zeros(1, np.int64))
+        sets = [np.unique(shingles[ends[k] : ends[k + 1]]).tobytes() for k in pick]
+        yield pa.RecordBatch.from_arrays([pa.array([keys[k] for k in pick], pa.binary()), pa.array(sets, pa.binary())], ["key", "shingles"])
+
+
 def repeated_paragraphs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: float = 0.8) -> DataFrame:
     """Rows (id, para, lead_id, lead_para, removed) of every paragraph that has a copy or a near copy.
 
     Paragraphs are lines with a word; links are a Jaccard similarity of ``least`` or more over shingles of five
     words, equal word sequences included. The least (id, para) of a component leads and stays, all others go. Null
     texts have no paragraphs; null ids sort first; repeated rows are copies that share (id, para), one of them a
-    removed one only if its place is not the lead's; an empty table gives no rows.
+    removed one only if its place is not the lead's; texts are read whole, and a very long one is held by one task;
+    further columns are ignored; an empty table gives no rows.
     """
-    n = partitions_for(docs.sparkSession)
-    lines = paragraphs(docs, id_col, text_col)
-    found = settle(lines.select("id", "para", "key"), "lines")
-    texts = lines.groupBy("key").agg(F.min("text").alias("text"))
-    sketches = settle(texts.mapInArrow(_sketch, "key binary, shingles binary, bands array<bigint>"), "sketches")
-    banded = sketches.select("key", F.explode("bands").alias("band"))
-    groups = banded.groupBy("band").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("key")).alias("who")).where("n > 1")
-    groups = groups.groupBy("n", "who").agg(F.min("band").alias("band")).select("band")
-    met = banded.join(groups, "band").join(sketches.select("key", "shingles"), "key").select("band", "key", "shingles")
-    edges = met.repartition(n, "band").sortWithinPartitions("band").mapInArrow(_links(least), "a binary, b binary")
-    parts = connected_components(edges)
+    texts = _texts(docs, id_col, text_col)
+    found = settle(paragraphs(docs, id_col, text_col), "lines")
+
+    def shingles(keys: DataFrame) -> DataFrame:
+        # One place of each paragraph that met another; rows of one id may differ in text, so the key is checked below.
+        place = found.where("id is not null").groupBy("key").agg(F.min(F.struct("id", "para")).alias("at"))
+        nowhere = found.where("id is null").select("key").distinct()
+        at = place.join(keys, "key", "left_semi").groupBy("at.id").agg(F.collect_set("at.para").alias("wanted"))
+        some = texts.join(at, "id").select("text", "wanted").mapInArrow(_sets, "key binary, shingles binary")
+        if not nowhere.isEmpty():  # texts without id are all read
+            every = texts.where("id is null").select("text", F.lit(None).cast("array<int>").alias("wanted"))
+            some = some.union(every.mapInArrow(_sets, "key binary, shingles binary"))
+        return some.join(keys, "key", "left_semi").groupBy("key").agg(F.first("shingles").alias("shingles"))
+
+    parts = linked(texts.mapInArrow(_bands(least), "band long, key binary"), shingles, least)
     of = found.join(parts.select(F.col("node").alias("key"), "component"), "key", "left").select("id", "para", F.coalesce("component", "key").alias("component"))
     of = settle(of, "classes")
     lead = of.groupBy("component").agg(F.min(F.struct("id", "para")).alias("lead"), F.count("*").alias("n")).where("n > 1")
-    release(found, sketches)
+    release(found, parts)
     return of.join(lead, "component").select(
         "id", "para", F.col("lead.id").alias("lead_id"), F.col("lead.para").alias("lead_para"),
         (~F.struct("id", "para").eqNullSafe(F.col("lead"))).alias("removed"),

@@ -44,3 +44,11 @@ def test_cases(spark):
     got = paragraphs.repeated_paragraphs(docs).collect()
     assert sorted(tuple(r) for r in got) == brute(rows)
     assert paragraphs.repeated_paragraphs(docs.limit(0)).collect() == []
+
+
+def test_without_ids(spark):
+    long = [f"w{i}" for i in range(60)]
+    near = " ".join([*long[:59], "x"])
+    docs = spark.createDataFrame([(None, " ".join(long)), (None, near + "\nalone"), (4, "alone"), (4, " ".join(long)), (4, "other text")], "doc_id long, text string")
+    got = {(r.id, r.para, r.lead_id, r.lead_para, r.removed) for r in paragraphs.repeated_paragraphs(docs).collect()}
+    assert got == {(None, 0, None, 0, False), (4, 0, None, 0, True), (None, 1, None, 1, False), (4, 0, None, 1, True)}
