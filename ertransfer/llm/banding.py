@@ -1,7 +1,7 @@
 """Links between texts of like shingles: tuned MinHash bands, exact Jaccard, connected components.
 
 Bands are tuned to the wanted similarity: as few rows a band as keep chance meetings rare, and as many bands as find a
-pair at the threshold with the wanted chance. A map task sends one thin row (band, key) for each band of a text; sorted
+pair at the threshold with the wanted chance. A map task sends one thin row (band, key) for each band of a distinct text; sorted
 by band, only those that meet another key are kept. Bands of the same members are walked once, with the shingles of
 members that met at all: each member finds its exact neighbours, giving a spanning forest of the links, never all pairs.
 """
@@ -51,12 +51,21 @@ def distinct_sets(shingles: np.ndarray, bounds: np.ndarray) -> list[np.ndarray]:
     return [np.unique(shingles[a:b]) for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist())]
 
 
-def band_rows(keys: list[bytes], shingles: np.ndarray, bounds: np.ndarray, least: float) -> Iterator[pa.RecordBatch]:
-    """Rows (band, key) of texts, each key once."""
-    if keys:
-        first = {k: i for i, k in reversed(list(enumerate(keys)))}
+class BandRows:
+    """Rows (band, key) of the texts of one task, each key once for as many keys as the task remembers."""
+
+    def __init__(self, least: float, remembered: int = 400_000):
+        self.tuned, self.remembered, self.seen = tuned(least), remembered, set()
+
+    def rows(self, keys: list[bytes], shingles: np.ndarray, bounds: np.ndarray) -> Iterator[pa.RecordBatch]:
+        first = {k: i for i, k in reversed(list(enumerate(keys))) if k not in self.seen}
+        if not first:
+            return
+        if len(self.seen) > self.remembered:
+            self.seen.clear()
+        self.seen.update(first)
         at = np.fromiter(first.values(), np.int64, len(first))
-        bands = bands_of(shingles, bounds, *tuned(least))[at]
+        bands = bands_of(shingles, bounds, *self.tuned)[at]
         where = pa.array(np.repeat(np.arange(len(at)), bands.shape[1]))
         yield pa.RecordBatch.from_arrays([pa.array(bands.reshape(-1).view(np.int64)), pa.array(list(first), pa.binary()).take(where)], ["band", "key"])
 
@@ -119,11 +128,10 @@ def linked(banded: DataFrame, shingles_of_keys: Callable[[DataFrame], DataFrame]
     hashes as bytes). The component is the least key in it. Members of one band are walked in one task.
     """
     n = partitions_for(banded.sparkSession)
-    # Copies of a key are merged in the map tasks; the window then only looks at neighbours, so nothing is gathered.
-    laid = banded.groupBy("band", "key").agg(F.lit(1).alias("one")).select("band", "key")
+    # Tasks send a key once, however many copies they read; the window only looks at neighbours, nothing is gathered.
     order = Window.partitionBy("band").orderBy("key")
-    beside = laid.select("band", "key", F.lag("key").over(order).alias("before"), F.lead("key").over(order).alias("after"))
-    met = settle(beside.where("before is not null or after is not null").select("band", "key"), "met")
+    beside = banded.select("band", "key", F.lag("key").over(order).alias("before"), F.lead("key").over(order).alias("after"))
+    met = settle(beside.where("before <> key or after <> key").select("band", "key").distinct(), "met")
     groups = met.groupBy("band").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("key")).alias("who"))
     groups = groups.groupBy("n", "who").agg(F.min("band").alias("band")).select("band")
     sets = settle(shingles_of_keys(met.select("key").distinct()), "shingles")

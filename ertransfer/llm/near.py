@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ertransfer.llm.banding import WIDTH, band_rows, distinct_sets, linked
+from ertransfer.llm.banding import WIDTH, BandRows, distinct_sets, linked
 from ertransfer.llm.batches import text_pieces
 from ertransfer.llm.words import shingles_of, words_of
 
@@ -38,8 +38,9 @@ def _shingled(piece) -> tuple[np.ndarray, np.ndarray]:
 
 def _bands(least: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bands = BandRows(least)
         for piece in text_pieces(batches, "text", 1 << 20):
-            yield from band_rows(piece.rows.column("key").to_pylist(), *_shingled(piece), least)
+            yield from bands.rows(piece.rows.column("key").to_pylist(), *_shingled(piece))
 
     return run
 

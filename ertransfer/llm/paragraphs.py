@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ertransfer.durable import release, settle
-from ertransfer.llm.banding import WIDTH, band_rows, linked
+from ertransfer.llm.banding import WIDTH, BandRows, linked
 from ertransfer.llm.batches import text_pieces
 from ertransfer.llm.words import Words, shingles_of, words_of
 
@@ -54,10 +54,11 @@ def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 def _bands(least: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bands = BandRows(least)
         for piece in text_pieces(batches, "text", 1 << 20):
             found, bounds, *_ = _lines(piece)
             if len(bounds) > 1:
-                yield from band_rows(_keys(found, bounds), *shingles_of(found.value, bounds, WIDTH), least)
+                yield from bands.rows(_keys(found, bounds), *shingles_of(found.value, bounds, WIDTH))
 
     return run
 
