@@ -2,9 +2,9 @@
 
 Two equal strings of ``span`` bytes hold the same gram of least hash at the same place. Each such anchor gives two
 pieces of text, which together hold all strings around it. A string shared by two pieces contains a core that both
-share, so only pieces of one core can repeat each other. Pieces are sorted by core, over ranges that also count the
-place, so that no core meets in one task: equal pieces lie together and all but the first go, and pieces of a core with
-more than one text are read again and brought to suffix arrays of bounded size. There, suffixes smaller than their
+share, so only pieces of one core can repeat each other. Pieces are dealt by core, those of hot cores over all tasks, and
+sorted: equal pieces lie together and all but the first go, and pieces of a core with more than one text are read again
+and brought to suffix arrays of bounded size. There, suffixes smaller than their
 successors are sorted directly, the others are induced by scans over the buckets of first bytes, and common prefixes of
 neighbours tell which strings are equal. Cores that more than one array holds pass on one place for each string.
 """
@@ -19,8 +19,9 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ertransfer.durable import release, settle
+from ertransfer.durable import partitions_for, release, settle
 from ertransfer.llm.batches import text_pieces
+from ertransfer.llm.words import Prefix, window_least
 
 SPAN = 100
 #: Bytes of text in one suffix array, and the bytes after which a single core is cut.
@@ -36,59 +37,33 @@ def gram_of(span: int) -> int:
 # --- anchors -----------------------------------------------------------------------------------------------------
 
 
-def _gram_hashes(data: np.ndarray, gram: int) -> np.ndarray:
-    """A 64-bit hash of the gram at each position, by doubling."""
-    size = len(data) - gram + 1
-    mixed = np.zeros(size, np.uint64)
-    power, at, left = data.astype(np.uint64) + np.uint64(1), 0, gram
-    width = 1
-    while left:
-        if left & 1:
-            mixed = mixed * np.uint64(0x9E3779B97F4A7C15) + power[at : at + size]
-            mixed ^= mixed >> np.uint64(29)
-            at += width
-        left >>= 1
-        if left:
-            power = power[:-width] * np.uint64(0xD6E8FEB86659FD93) + power[width:]
-            power ^= power >> np.uint64(32)
-            width *= 2
-    mixed *= np.uint64(0xBF58476D1CE4E5B9)
-    return mixed ^ (mixed >> np.uint64(31))
-
-
-def anchors(data: np.ndarray, starts: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray]:
+def anchors(data: np.ndarray, starts: np.ndarray, span: int, prefix: Prefix | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(positions, text numbers) of the grams of least hash in any ``span`` bytes of a text; ties go to the left."""
     sizes = np.diff(starts)
     if not len(data) or sizes.max() < span:
         return np.zeros(0, np.int64), np.zeros(0, np.int64)
     gram = gram_of(span)
-    least = _gram_hashes(data, gram) & np.uint64(0xFFFFFFFF00000000)
-    least |= np.arange(len(least), dtype=np.uint64)
-    width, window = 1, span - gram + 1
-    while width * 2 <= window:
-        least = np.minimum(least[:-width], least[width:])
-        width *= 2
-    if width < window:
-        least = np.minimum(least[: len(least) - (window - width)], least[window - width :])
+    first = np.arange(len(data) - gram + 1)
+    least = window_least((prefix or Prefix(data)).of(first, first + gram), span - gram + 1)
     inside = np.zeros(len(data) + 1, np.int8)
     fit = sizes >= span
     np.add.at(inside, starts[:-1][fit], 1)
     np.add.at(inside, starts[1:][fit] - span + 1, -1)
-    chosen = (least & np.uint64(0xFFFFFFFF)).astype(np.int64)[np.cumsum(inside[: len(least)]).astype(bool)]
+    chosen = least[np.cumsum(inside[: len(least)]).astype(bool)]
     chosen = chosen[np.r_[True, chosen[1:] != chosen[:-1]]]
     return chosen, np.searchsorted(starts, chosen, "right") - 1
 
 
-def _pieces(span: int):
-    """Rows (core, content, id, tie, at): at holds the first string's start and the number of further ones."""
+def _pieces(span: int, hot: np.ndarray):
+    """Rows (core, content, id, tie, at, hot): at holds the first string's start and the number of further ones."""
     gram = gram_of(span)
     reach = span - gram
     half = (reach + 1) // 2
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in text_pieces(batches, "text", 1 << 20):
-            p, owner = anchors(piece.data, piece.starts, span)
-            raw = piece.data.tobytes()
+            prefix = Prefix(piece.data)
+            p, owner = anchors(piece.data, piece.starts, span, prefix)
             begin, last = piece.starts[owner], piece.starts[owner + 1] - span
             out = []
             for side, lo, hi, a, b in (
@@ -97,27 +72,47 @@ def _pieces(span: int):
             ):
                 ok = lo <= hi
                 lo, hi, a, b, who = lo[ok], hi[ok], a[ok], b[ok], owner[ok]
-                core = [xxhash.xxh3_64_intdigest(raw[i:j], side) for i, j in zip(a.tolist(), b.tolist())]
-                content = [xxhash.xxh3_64_intdigest(raw[i:j]) for i, j in zip(lo.tolist(), (hi + span).tolist())]
                 at = ((lo - piece.starts[who]) << 16) | (hi - lo)
-                out.append((np.array(core, np.uint64).view(np.int64), np.array(content, np.uint64).view(np.int64), who, at))
+                out.append((prefix.of(a, b, side).view(np.int64), prefix.of(lo, hi + span).view(np.int64), who, at))
             core, content, who, at = (np.concatenate(x) for x in zip(*out))
+            often = np.isin(core, hot) if len(hot) else np.zeros(len(core), bool)
             who = pa.array(who)
-            yield pa.RecordBatch.from_arrays([pa.array(core), pa.array(content), piece.rows.column("id").take(who), piece.rows.column("tie").take(who), pa.array(at)], ["core", "content", "id", "tie", "at"])
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(core), pa.array(content), piece.rows.column("id").take(who), piece.rows.column("tie").take(who), pa.array(at), pa.array(often)],
+                ["core", "content", "id", "tie", "at", "hot"],
+            )
 
     return run
 
 
+_PIECE = "core long, content long, id long, tie long, at long, hot boolean"
+
+
+def _hot_cores(texts: DataFrame, span: int, share: int = 64) -> np.ndarray:
+    """Cores so frequent that their pieces must be spread, at most a few for each partition.
+
+    Read off one text in ``share``; this decides only in which task a piece lies, not what becomes of it.
+    """
+    some = texts.where(F.pmod(F.xxhash64(*_PLACE), F.lit(share)) == 0).mapInArrow(_pieces(span, np.zeros(0, np.int64)), _PIECE)
+    counts = settle(some.groupBy("core").agg(F.count("*").alias("n")), "cores")
+    total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    least = max(64, total // (8 * partitions_for(texts.sparkSession)))
+    found = [r.core for r in counts.where(F.col("n") >= least).select("core").collect()]  # at most 8 a partition
+    release(counts)
+    return np.array(sorted(found), np.int64)
+
+
 def _sift(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Over sorted pieces: the later ones of equal pieces (again), the first ones where a core has several texts.
 
-    Single pieces at either end of a batch are passed on as well; the suffix arrays judge them.
+    First pieces of hot cores, of which other tasks hold more, and single pieces at either end of a batch are passed on
+    as well; the suffix arrays judge them.
     """
     before = None
     for batch in batches:
         if not batch.num_rows:
             continue
-        rows = np.stack([c.to_numpy(zero_copy_only=False) for c in batch.columns])
+        rows = np.stack([c.to_numpy(zero_copy_only=False).astype(np.int64) for c in batch.columns])
         if before is not None:
             rows = np.concatenate([before, rows], 1)
         same = rows[:, 1:] == rows[:, :-1]
@@ -126,12 +121,12 @@ def _sift(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         twice = np.r_[before is not None, same.all(0)]
         run = np.cumsum(new_core) - 1
         several = np.bincount(run, new)[run] > 1
-        several |= (run == 0) | (run == run[-1])
+        several |= (run == 0) | (run == run[-1]) | (rows[5] != 0)
         again = ~new & ~twice
         # a repeated row of the first place is no later piece
         keep = again | (new & several & ~twice)
         before = rows[:, -1:]
-        core, _, ids, tie, at = rows[:, keep]
+        core, _, ids, tie, at, _ = rows[:, keep]
         lo = at >> 16
         yield pa.RecordBatch.from_arrays([pa.array(again[keep]), pa.array(core), pa.array(ids), pa.array(tie), pa.array(lo), pa.array(lo + (at & 0xFFFF))], ["again", "core", "id", "tie", "lo", "hi"])
 
@@ -373,9 +368,10 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     place = (F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63))).alias("id"), F.xxhash64(text).alias("tie"))
     texts = docs.select(*place, text.alias("text"))
-    pieces = texts.mapInArrow(_pieces(span), "core long, content long, id long, tie long, at long")
+    pieces = texts.mapInArrow(_pieces(span, _hot_cores(texts, span)), _PIECE)
     by = ["core", "content", *_PLACE, "at"]
-    sifted = settle(pieces.repartitionByRange(*by).sortWithinPartitions(*by).mapInArrow(_sift, "again boolean, core long, id long, tie long, lo long, hi long"), "sifted")
+    dealt = pieces.repartition(F.when(F.col("hot"), F.xxhash64(*by)).otherwise(F.col("core")))
+    sifted = settle(dealt.sortWithinPartitions(*by).mapInArrow(_sift, "again boolean, core long, id long, tie long, lo long, hi long"), "sifted")
     wanted = sifted.where("not again").groupBy(*_PLACE).agg(F.collect_list(F.struct("core", "lo", "hi")).alias("wanted"))
     slices = settle(texts.join(wanted, [*_PLACE]).select(*_PLACE, "text", "wanted").mapInArrow(_cut(span), "core long, id long, tie long, lo long, text binary"), "slices")
     by = ["core", *_PLACE, "lo"]
