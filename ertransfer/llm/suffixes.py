@@ -24,8 +24,8 @@ from ertransfer.llm.batches import text_pieces
 from ertransfer.llm.words import Prefix, window_least
 
 SPAN = 100
-#: Bytes of text in one suffix array, and the bytes after which a single core is cut.
-ARRAY_BYTES = 1 << 20
+#: Bytes of text in one suffix array, small enough for a processor's cache; a single core is cut at 16 times as many.
+ARRAY_BYTES = 1 << 18
 _PLACE = ("id", "tie")
 
 
@@ -180,7 +180,7 @@ def two_stage(text: np.ndarray, span: int) -> np.ndarray:
     rising = np.zeros(n, bool)
     change = np.flatnonzero(text[1:] != text[:-1])
     up = text[change + 1] > text[change]
-    before = np.searchsorted(change, np.arange(n), "left")
+    before = np.cumsum(np.r_[False, text[1:] != text[:-1]])  # changes before each place
     known = before < len(change)
     rising[known] = up[before[known]]
     word, parts = _words(text, span)
@@ -234,10 +234,12 @@ def _array(rows: list[tuple], is_open: np.ndarray, span: int) -> tuple[list[np.n
     begin = np.cumsum(sizes) - sizes
     text = np.frombuffer(b"".join(r[4] for r in rows), np.uint8)
     order = two_stage(text, span)
-    owner = np.searchsorted(begin, order, "right") - 1
+    owner = np.repeat(np.arange(len(sizes)), sizes)[order]
     fit = order - begin[owner] <= sizes[owner] - span
     order, owner = order[fit], owner[fit]
     string = np.cumsum(common_prefixes(text, order, span) < span)
+    more = (np.bincount(string)[string] > 1) | is_open[owner]  # a string met once matters only to other arrays
+    string, order, owner = string[more], order[more], owner[more]
     ids, ties, lows = (np.array([r[k] for r in rows], np.int64) for k in (1, 2, 3))
     start = lows[owner] + order - begin[owner]
     opened = np.zeros(int(string[-1]) + 1, bool) if len(string) else np.zeros(0, bool)
@@ -304,7 +306,7 @@ def _judge(span: int, limit: int):
             for row in zip(*(batch.column(c).to_pylist() for c in ("core", "id", "tie", "lo", "text"))):
                 if first_core is None:
                     first_core = row[0]
-                if size >= limit and row[0] != held[-1][0] or size >= 4 * limit:
+                if size >= limit and row[0] != held[-1][0] or size >= 16 * limit:
                     yield from flush(False)
                 held.append(row)
                 size += len(row[4])

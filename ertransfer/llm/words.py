@@ -48,7 +48,7 @@ class Prefix:
 
     def of(self, begin: np.ndarray, end: np.ndarray, salt: int = 0) -> np.ndarray:
         down = _power("down", _INVERSE, len(self.sums))
-        return mix((self.sums[end] - self.sums[begin]) * down[begin] + np.uint64(salt) * np.uint64(0xD6E8FEB86659FD93) + (end - begin).astype(np.uint64))
+        return mix((self.sums[end] - self.sums[begin]) * down[begin] + np.uint64(salt * 0xD6E8FEB86659FD93 % (1 << 64)) + (end - begin).astype(np.uint64))
 
 
 @dataclass
