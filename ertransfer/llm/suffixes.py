@@ -54,8 +54,11 @@ def anchors(data: np.ndarray, starts: np.ndarray, span: int, prefix: Prefix | No
     return chosen, np.searchsorted(starts, chosen, "right") - 1
 
 
-def _pieces(span: int, hot: np.ndarray):
-    """Rows (core, content, id, tie, at, hot): at holds the first string's start and the number of further ones."""
+def _pieces(span: int, hot: tuple[np.ndarray, np.ndarray] | None = None):
+    """Rows (core, content, id, tie, at, over): at holds the first string's start and the number of further ones.
+
+    ``hot`` names frequent cores and over how many tasks each is dealt.
+    """
     gram = gram_of(span)
     reach = span - gram
     half = (reach + 1) // 2
@@ -75,31 +78,34 @@ def _pieces(span: int, hot: np.ndarray):
                 at = ((lo - piece.starts[who]) << 16) | (hi - lo)
                 out.append((prefix.of(a, b, side).view(np.int64), prefix.of(lo, hi + span).view(np.int64), who, at))
             core, content, who, at = (np.concatenate(x) for x in zip(*out))
-            often = np.isin(core, hot) if len(hot) else np.zeros(len(core), bool)
+            over = np.ones(len(core), np.int32)
+            if hot and len(hot[0]):
+                near = np.minimum(np.searchsorted(hot[0], core), len(hot[0]) - 1)
+                over = np.where(hot[0][near] == core, hot[1][near], over).astype(np.int32)
             who = pa.array(who)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(core), pa.array(content), piece.rows.column("id").take(who), piece.rows.column("tie").take(who), pa.array(at), pa.array(often)],
-                ["core", "content", "id", "tie", "at", "hot"],
+                [pa.array(core), pa.array(content), piece.rows.column("id").take(who), piece.rows.column("tie").take(who), pa.array(at), pa.array(over)],
+                ["core", "content", "id", "tie", "at", "over"],
             )
 
     return run
 
 
-_PIECE = "core long, content long, id long, tie long, at long, hot boolean"
+_PIECE = "core long, content long, id long, tie long, at long, over int"
 
 
-def _hot_cores(texts: DataFrame, span: int, share: int = 64) -> np.ndarray:
-    """Cores so frequent that their pieces must be spread, at most a few for each partition.
+def _hot_cores(texts: DataFrame, span: int, share: int = 64) -> tuple[np.ndarray, np.ndarray]:
+    """Cores that hold more pieces than half a task's share, at most two for each task, and how many tasks each needs.
 
     Read off one text in ``share``; this decides only in which task a piece lies, not what becomes of it.
     """
-    some = texts.where(F.pmod(F.xxhash64(*_PLACE), F.lit(share)) == 0).mapInArrow(_pieces(span, np.zeros(0, np.int64)), _PIECE)
+    some = texts.where(F.pmod(F.xxhash64(*_PLACE, F.octet_length("text")), F.lit(share)) == 0).mapInArrow(_pieces(span), _PIECE)
     counts = settle(some.groupBy("core").agg(F.count("*").alias("n")), "cores")
     total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    least = max(64, total // (8 * partitions_for(texts.sparkSession)))
-    found = [r.core for r in counts.where(F.col("n") >= least).select("core").collect()]  # at most 8 a partition
+    least = max(32, total // (2 * partitions_for(texts.sparkSession)))
+    found = sorted((r.core, 1 + r.n // least) for r in counts.where(F.col("n") >= least).collect())
     release(counts)
-    return np.array(sorted(found), np.int64)
+    return np.array([r[0] for r in found], np.int64), np.array([r[1] for r in found], np.int32)
 
 
 def _sift(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -121,7 +127,7 @@ def _sift(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         twice = np.r_[before is not None, same.all(0)]
         run = np.cumsum(new_core) - 1
         several = np.bincount(run, new)[run] > 1
-        several |= (run == 0) | (run == run[-1]) | (rows[5] != 0)
+        several |= (run == 0) | (run == run[-1]) | (rows[5] > 1)
         again = ~new & ~twice
         # a repeated row of the first place is no later piece
         keep = again | (new & several & ~twice)
@@ -368,11 +374,14 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     if not 2 <= span < 1 << 16:
         raise ValueError("span must be from 2 to 65535")
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    place = (F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63))).alias("id"), F.xxhash64(text).alias("tie"))
+    key = F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63)))
+    single = docs.groupBy(key.alias("id")).agg(F.count("*").alias("n")).where("n > 1").isEmpty()
+    # Only rows of one id need telling apart.
+    place = (key.alias("id"), (F.lit(0).cast("long") if single else F.xxhash64(text)).alias("tie"))
     texts = docs.select(*place, text.alias("text"))
     pieces = texts.mapInArrow(_pieces(span, _hot_cores(texts, span)), _PIECE)
     by = ["core", "content", *_PLACE, "at"]
-    dealt = pieces.repartition(F.when(F.col("hot"), F.xxhash64(*by)).otherwise(F.col("core")))
+    dealt = pieces.repartition("core", F.when(F.col("over") > 1, F.pmod(F.xxhash64(*by), F.col("over"))).otherwise(0))
     sifted = settle(dealt.sortWithinPartitions(*by).mapInArrow(_sift, "again boolean, core long, id long, tie long, lo long, hi long"), "sifted")
     wanted = sifted.where("not again").groupBy(*_PLACE).agg(F.collect_list(F.struct("core", "lo", "hi")).alias("wanted"))
     slices = settle(texts.join(wanted, [*_PLACE]).select(*_PLACE, "text", "wanted").mapInArrow(_cut(span), "core long, id long, tie long, lo long, text binary"), "slices")
@@ -391,6 +400,8 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     rows = docs.select(F.struct(*docs.columns).alias("row"), *place)
     shape = docs.select(F.struct(*docs.columns).alias("row")).schema["row"].dataType.simpleString()
     done = rows.join(gone, [*_PLACE], "left").select("row", *_PLACE, "gone").mapInArrow(_apply(docs.columns.index(text_col)), f"row {shape}, id long, tie long, n_bytes long, spans array<struct<start: bigint, end: bigint>>, kept binary")
+    if single:
+        return done.select("row", "n_bytes", "spans", "kept")
     twice = texts.groupBy(*_PLACE).agg(F.count("*").alias("n")).where("n > 1").drop("n")
     if not twice.isEmpty():
         twice = settle(twice, "twice")
