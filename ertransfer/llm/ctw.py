@@ -34,11 +34,11 @@ END = 255
 #: Bytes of context that a task's subtrees share.
 ROOT = 2
 #: Rows of a table of grams or of words that is broadcast, whatever the size of the model.
-BLOCK_ROWS = 1_000_000
+BLOCK_ROWS = 500_000
 #: The end of a text as a word.
 END_WORD = np.uint64(0xE0D0E0D0E0D0E0D1)
 #: Grams that a task holds before it passes on their counts, and before it works out whole subtrees.
-HELD_GRAMS = 2_000_000
+HELD_GRAMS = 1_000_000
 PIECE = 1 << 20
 
 
