@@ -17,7 +17,10 @@ from pyspark.sql.window import Window
 
 #: Vectors of one shard; the number of shards grows with the table.
 SHARD_ROWS = 4000
-QUERY_BLOCK = 2000
+#: Queries that a task answers with one graph; beyond that the shard's graph is built again for the next block.
+QUERY_BLOCK = 20_000
+#: Queries that walk in step.
+STEP = 2000
 
 
 def _distances(x: np.ndarray, y: np.ndarray) -> np.ndarray:
@@ -111,11 +114,13 @@ def usable(vector: str) -> F.Column:
 def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "vec_id", vec_col: str = "embedding", beam: int = 64, degree: int = 32, alpha: float = 1.2, shard_rows: int = SHARD_ROWS) -> DataFrame:
     """Rows (query_id, rank int, vec_id, score double): the ``k`` nearest found for each of ``queries``.
 
-    A query never finds a row of its own id. Vectors of equal components are one node of the graph, so copies, however
+    The beam holds at least 2 k + 8 nodes, so k rows are found wherever there are as many. A query never finds a row of
+    its own id, and repeated rows of one id are one row if their vectors are equal; vectors may be of any length. Vectors of equal components are one node of the graph, so copies, however
     many, cost one place and all tie, smaller ids first. Vectors that :func:`usable` refuses and rows with a null id
     take no part; vectors of another length than the query's are not compared; empty tables give no rows.
     """
     spark = vectors.sparkSession
+    beam = max(beam, 2 * k + 8)
     fine = lambda t: t.where(usable(vec_col)).where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v"))
     rows = fine(vectors).withColumn("key", F.xxhash64("v"))
     # Of each text of components only the k + 1 least ids can be among the nearest of a query.
@@ -129,7 +134,8 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "
     dealt = first.select(F.pmod(F.xxhash64("key", F.lit(1)), F.lit(shards)).cast("int").alias("shard"), "v", "ids")
     # Each shard meets each block of queries: shards times queries rows, the stated query set against all rows.
     posed = asked.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))).withColumn("block", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int"))
-    both = dealt.select("shard", "v", "ids", F.lit(None).cast("long").alias("id"), F.lit(-1).alias("block")).unionByName(
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    both = dealt.select("shard", "v", "ids", F.lit(None).cast("long").alias("id"), every.alias("block")).unionByName(
         posed.select("shard", "v", F.lit(None).cast("array<bigint>").alias("ids"), "id", "block")
     )
 
@@ -143,7 +149,8 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "
             data = np.stack(nodes["v"].to_numpy())
             edges, starts = build_graph(data, degree, alpha)
             owners = nodes["ids"].to_numpy()
-            for _, part in ask.groupby("block"):
+            for lo in range(0, len(ask), STEP):
+                part = ask.iloc[lo : lo + STEP]
                 q = np.stack(part["v"].to_numpy())
                 met = beam_search(q, data, edges, starts, min(beam, max(len(data), len(starts))))
                 for qid, x, found in zip(part["id"].astype("int64"), q, met):
@@ -153,7 +160,7 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "
                     out += [(qid, i, s) for s, i in sorted(pairs)[:k]]
         return pd.DataFrame(out, columns=["query_id", "vec_id", "score"])
 
-    hits = both.groupBy("shard").applyInPandas(search, "query_id long, vec_id long, score double")
+    hits = both.groupBy("shard", "block").applyInPandas(search, "query_id long, vec_id long, score double")
     order = Window.partitionBy("query_id").orderBy("score", "vec_id")
     return hits.distinct().withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

@@ -16,7 +16,6 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
@@ -144,20 +143,56 @@ def _paired(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.stack([a, b, np.minimum(a, b)], 1)
 
 
-def _rows(frame: pd.DataFrame) -> tuple[list, list]:
-    raws = [(t or "").encode() for t in frame["text"]]
-    return [word_places(r) for r in raws], [meta_places(*x) for x in zip(raws, frame["lang"], frame["source"])]
+@dataclass
+class Sample:
+    """Places of the features of some documents, and whether each is good (None: unknown)."""
+
+    words: list[np.ndarray]
+    meta: list[np.ndarray]
+    y: np.ndarray
+
+    @property
+    def sides(self) -> tuple[list[np.ndarray], list[np.ndarray]]:
+        return self.words, self.meta
+
+
+_PLACES = "id string, y int, words array<int>, meta array<int>"
+
+
+def _places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Features of rows (id, y, text, lang, source), worked out where the texts lie."""
+    kind = pa.list_(pa.int32())
+    for piece in text_pieces(batches, "text"):
+        raws = list(piece.raw())
+        words = pa.array([word_places(r).astype(np.int32) for r in raws], kind)
+        meta = pa.array([meta_places(*x).astype(np.int32) for x in zip(raws, piece.rows.column("lang").to_pylist(), piece.rows.column("source").to_pylist())], kind)
+        yield pa.RecordBatch.from_arrays([piece.rows.column("id"), piece.rows.column("y"), words, meta], ["id", "y", "words", "meta"])
+
+
+def _sample(rows: DataFrame, draw) -> Sample:
+    """Brings the features of a bounded number of rows (id, y, text, lang, source) to the driver, in the drawn order.
+
+    A document counts with at most WIDTH distinct places of four bytes, whatever its length.
+    """
+    picked = rows.select(F.col("id").cast("string").alias("id"), F.col("y").cast("int").alias("y"), "text", "lang", "source")
+    one = picked.mapInArrow(_places, _PLACES).groupBy("id").agg(F.min(F.struct(F.hash("words"), "y", "words", "meta")).alias("s"))
+    table = one.select("id", "s.y", "s.words", "s.meta").orderBy(draw, "id").toArrow()
+
+    def split(name: str) -> list[np.ndarray]:
+        return [np.asarray(c.values.to_numpy()[a:b], np.int64) for c in table.column(name).chunks for a, b in zip(c.offsets.to_pylist(), c.offsets.to_pylist()[1:])]
+
+    return Sample(split("words"), split("meta"), np.array([np.nan if v is None else v for v in table.column("y").to_pylist()], float))
 
 
-def learn_views(labelled: pd.DataFrame, pool: pd.DataFrame, rounds: int = 3, per_round: float = 0.1, sure: float = 0.98) -> CoTrained:
+def learn_views(labelled: Sample, pool: Sample, rounds: int = 3, per_round: float = 0.1, sure: float = 0.98) -> CoTrained:
     """Co-training over ``rounds``; a fifth of the labelled rows, by place, serves calibration and combination only."""
-    y = labelled["y"].to_numpy(float)
+    y = labelled.y
     held = np.arange(len(y)) % 5 == 4
     if len(np.unique(y[held])) < 2 or len(np.unique(y[~held])) < 2:  # too few to set any apart
         held = np.ones(len(y), bool)
     learn = ~held if not held.all() else held
-    sides = _rows(labelled)
-    free = _rows(pool)
+    sides = labelled.sides
+    free = pool.sides
     extra: list[dict[int, float]] = [{}, {}]  # pseudo-labels that each view was given by the other
     views: list = []
     for turn in range(rounds + 1):
@@ -167,7 +202,7 @@ def learn_views(labelled: pd.DataFrame, pool: pd.DataFrame, rounds: int = 3, per
             view = kind.learn(rows, np.concatenate([y[learn], list(extra[v].values())]))
             views.append(view)
             scales.append(fit_logistic(view.margin([r for r, m in zip(sides[v], held) if m])[:, None], y[held], 0.1))
-        if turn == rounds or not len(pool):
+        if turn == rounds or not len(pool.y):
             break
         sure_of = [_sigmoid(s[0] * v.margin(rows) + s[1]) for v, s, rows in zip(views, scales, free)]
         for v in (0, 1):
@@ -187,7 +222,8 @@ def co_train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_co
     A document is good if its label says quality 1 and toxic 0; several labels must all say so, rows with both null
     are no labels. ``sample`` and ``pool`` bound the rows learnt from; the smallest hashes of the id are taken. A null
     text is empty; null language or source are values; without labels of both kinds every score is the share of good
-    ones (one without labels). Repeated rows get equal scores; an empty table gives no rows.
+    ones (one without labels). Repeated rows get equal scores; of rows that share an id one is learnt from; texts are
+    scored whole, however long; further columns pass through inside ``row``; an empty table gives no rows.
     """
     spark = docs.sparkSession
     good = (F.coalesce("quality", F.lit(1)) == 1) & (F.coalesce("toxic", F.lit(0)) == 0)
@@ -195,12 +231,12 @@ def co_train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_co
     base = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"), F.col(source_col).alias("source"))
     draw = F.xxhash64(F.lit("sample"), "id")
     chosen = marks.join(base.select("id").distinct(), "id", "left_semi").orderBy(draw, "id").limit(sample)
-    ids = base.select("id").join(marks, "id", "left_anti").distinct().orderBy(draw, "id").limit(pool)
-    labelled = base.join(F.broadcast(chosen), "id").dropDuplicates(["id"]).orderBy(draw, "id").toPandas()  # at most `sample` rows
-    unlabelled = base.join(F.broadcast(ids), "id").dropDuplicates(["id"]).orderBy(draw, "id").toPandas()  # at most `pool` rows
+    ids = base.select("id").join(marks, "id", "left_anti").distinct().orderBy(draw, "id").limit(pool).withColumn("y", F.lit(None).cast("int"))
+    labelled = _sample(base.join(F.broadcast(chosen), "id"), draw)  # at most `sample` documents
+    unlabelled = _sample(base.join(F.broadcast(ids), "id"), draw)  # at most `pool` documents
     rows = docs.select(F.struct(*docs.columns).alias("row"), F.col(text_col).alias("text"), F.col(lang_col).cast("string").alias("lang"), F.col(source_col).cast("string").alias("source"))
-    if labelled.empty or labelled["y"].nunique() < 2:
-        flat = float(labelled["y"].mean()) if len(labelled) else 1.0
+    if len(np.unique(labelled.y)) < 2:
+        flat = float(labelled.y.mean()) if len(labelled.y) else 1.0
         p = F.lit(flat)
         return rows.select("row", p.alias("p_text"), p.alias("p_meta"), p.alias("score"), (p >= keep_at).alias("keep"))
     shared = spark.sparkContext.broadcast(learn_views(labelled, unlabelled, rounds))  # of fixed size

@@ -40,3 +40,18 @@ def test_copies_ties_and_unusable(spark):
     assert [(r.vec_id, round(r.score, 6)) for r in sorted(got, key=lambda r: r["rank"]) if r.query_id == 100] == [(i, 1.414214) for i in range(10)]
     assert {r.query_id for r in got} == {0, 100}
     assert ann.nearest(table.limit(0), table, 10).collect() == []
+
+
+def test_more_neighbours_than_the_beam(spark):
+    rows = [(i, [float(i % 17), float(i % 23), float(i)]) for i in range(1, 300)] + [(300, [1.0, 1.0, 1.0])]
+    table = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = ann.nearest(table, table.where("vec_id = 300"), 100).collect()
+    assert len(got) == 100 and [r["rank"] for r in sorted(got, key=lambda r: r["rank"])] == list(range(1, 101))
+
+
+def test_query_blocks(spark, monkeypatch):
+    table = spark.createDataFrame([(i, [float(i), 1.0]) for i in range(60)], "vec_id long, embedding array<double>")
+    whole = sorted(map(tuple, ann.nearest(table, table, 3).collect()))
+    monkeypatch.setattr(ann, "QUERY_BLOCK", 7)
+    monkeypatch.setattr(ann, "STEP", 4)
+    assert sorted(map(tuple, ann.nearest(table, table, 3).collect())) == whole
