@@ -1,175 +1,21 @@
-"""The methods as queries over the given tables: `part` is the source dataset, `customer` the target, each against a
-dirty copy of itself; with DuckDB SQL for those that run the whole method in SQL."""
+"""All queries of the engine and the DuckDB SQL of those that SQL can state."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
+from ertransfer.plans import encoding_queries, engine_queries, experiment_queries, selection_queries, transfer_queries
 
-from ertransfer.functions.portable import h32
-from ertransfer.operators import encoding as E
-from ertransfer.operators import transfer as T
-
-WIDTH = 8
-TASKS = {
-    "part": ("p_partkey", ["p_name", "p_brand", "p_type", "p_size", "cast(floor(p_retailprice) as bigint)"], ["p_brand", "p_size"]),
-    "customer": ("c_custkey", ["c_name", "c_nationkey", "c_mktsegment", "cast(floor(c_acctbal) as bigint)"], ["c_nationkey", "c_mktsegment", "cast(floor(c_acctbal / 1000) as bigint)"]),
-}
-STRATEGIES = ["target_only", "source_only", "pooled", "weighted", "augmented", "semi"]
-
-
-def tuples(spark: SparkSession, sf_dir: str, task: str) -> DataFrame:
-    key, attributes, block = TASKS[task]
-    return E.tuple_document(spark.read.parquet(f"{sf_dir}/{task}.parquet"), task, key, [F.expr(a) for a in attributes], [F.expr(b) for b in block])
-
-
-def all_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return E.tokenize(tuples(spark, sf_dir, "part").union(tuples(spark, sf_dir, "customer")))
-
-
-def _dictionary(spark: SparkSession, sf_dir: str, tokens: DataFrame) -> DataFrame:
-    return E.hashed_dictionary(tokens, spark.read.parquet(f"{sf_dir}/embeddings.parquet"), WIDTH)
-
-
-def _flat(df: DataFrame, keep: list[str]) -> DataFrame:
-    return df.select(*keep, *[F.col("x")[i].alias(f"x{i}") for i in range(WIDTH)])
-
-
-def tuple_tokens(spark, sf_dir):
-    return all_tokens(spark, sf_dir).withColumn("pos", F.col("pos").cast("long"))
-
-
-def token_freq_domain(spark, sf_dir):
-    return E.token_frequency(all_tokens(spark, sf_dir)).select("token", "n", F.round("p", 9).alias("p"))
-
-
-def oov_tokens(spark, sf_dir):
-    tokens = all_tokens(spark, sf_dir)
-    return E.unknown_tokens(tokens, _dictionary(spark, sf_dir, tokens))
-
-
-def encode_mean(spark, sf_dir):
-    tokens = all_tokens(spark, sf_dir)
-    return _flat(E.encode(tokens, _dictionary(spark, sf_dir, tokens), WIDTH), ["dataset", "id", "n_tokens"])
-
-
-def encode_sif(spark, sf_dir):
-    tokens = all_tokens(spark, sf_dir)
-    return _flat(E.encode(tokens, _dictionary(spark, sf_dir, tokens), WIDTH, E.token_frequency(tokens)), ["dataset", "id", "n_tokens"])
-
-
-def context_vectors(spark, sf_dir):
-    tokens = all_tokens(spark, sf_dir)
-    return _flat(E.context_vectors(tokens, _dictionary(spark, sf_dir, tokens), WIDTH).withColumnRenamed("vec", "x"), ["token"])
-
-
-def _pairs(spark, sf_dir, op="diff"):
-    both = tuples(spark, sf_dir, "part").union(tuples(spark, sf_dir, "customer"))
-    tokens = E.tokenize(both)
-    words = _dictionary(spark, sf_dir, tokens)
-    return E.pair_vectors(E.block_pairs(both, both), E.encode(tokens, words, WIDTH), E.encode(E.dirty(tokens), words, WIDTH), op)
-
-
-def pair_diff(spark, sf_dir):
-    return _flat(_pairs(spark, sf_dir), ["dataset", "id_l", "id_r", "y"])
-
-
-def _roles(spark, sf_dir):
-    """(source, labelled target, unlabelled target): a tenth of the target's training pairs has labels."""
-    sim = _pairs(spark, sf_dir).withColumn("h", h32("split:", F.col("dataset"), ":", F.col("id_l"), ":", F.col("id_r")) % 100)
-    target = sim.where("dataset = 'customer'")
-    return sim.where("dataset = 'part'"), target.where("h < 7"), target.where("h >= 7 and h < 70"), target.where("h >= 70")
-
-
-def strategy_query(strategy: str):
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return T.measures(T.apply_strategy(strategy, *_roles(spark, sf_dir), WIDTH)).withColumn("f", F.round("f", 6))
-
-    return run
-
-
-def instance_weights(spark, sf_dir):
-    source, _, unlabelled, _ = _roles(spark, sf_dir)
-    return T.origin_weights(source, unlabelled, WIDTH).select("id_l", "id_r", F.round("p_origin", 6).alias("p_origin"))
-
-
-def relatedness(spark, sf_dir):
-    """Held-out confusion, MCC and d_A of an origin classifier between the two datasets."""
-    sim = _pairs(spark, sf_dir).withColumn("h", h32("rel:", F.col("dataset"), ":", F.col("id_l"), ":", F.col("id_r")) % 100)
-    rows = sim.select("x", "h", (F.col("dataset") == "part").cast("int").alias("y"), F.lit(1.0).alias("w"))
-    model = T.fit_bayes(rows.where("h < 80"), WIDTH)
-    out = T.matthews(T.measures(rows.where("h >= 80").withColumn("p", T.bayes_probability(model, F.col("x")))).drop("f"))
-    return out.withColumns({"mcc": F.round("mcc", 6), "d_a": F.round("d_a", 6)})
+_MODULES = (encoding_queries, transfer_queries, selection_queries, experiment_queries, engine_queries)
 
 
 def queries() -> dict:
-    plain = [tuple_tokens, token_freq_domain, oov_tokens, encode_mean, encode_sif, context_vectors, pair_diff, instance_weights, relatedness]
-    return {f.__name__: f for f in plain} | {f"transfer_{s}": strategy_query(s) for s in STRATEGIES}
-
-
-_H = "('0x' || substr(md5({}), 1, 8))::BIGINT"
-_DIMS = range(WIDTH)
-_BASE = f"""WITH src AS (
-  SELECT 'part' AS dataset, p_partkey AS id, concat_ws(' ', p_name, p_brand, p_type, p_size, floor(p_retailprice)::BIGINT) AS doc, concat_ws('|', p_brand, p_size) AS block FROM part
-  UNION ALL SELECT 'customer', c_custkey, concat_ws(' ', c_name, c_nationkey, c_mktsegment, floor(c_acctbal)::BIGINT), concat_ws('|', c_nationkey, c_mktsegment, floor(c_acctbal / 1000)::BIGINT) FROM customer),
-words AS (SELECT dataset, id, list_filter(string_split_regex(lower(doc), '[^\\p{{L}}\\p{{N}}]+'), lambda x: x <> '') AS l FROM src),
-tok AS (SELECT dataset, id, unnest(l) AS token, unnest(range(len(l))) AS pos FROM words),
-freq AS (SELECT token, count(*) AS n, count(*) / (SELECT count(*) FROM tok)::DOUBLE AS p FROM tok GROUP BY token),
-emb AS (SELECT row_number() OVER (ORDER BY vec_id) - 1 AS k, embedding::DOUBLE[] AS e FROM embeddings),
-known AS (SELECT token, {_H.format("'a:' || token")} % (SELECT count(*) FROM emb) AS ka, {_H.format("'b:' || token")} % (SELECT count(*) FROM emb) AS kb FROM freq WHERE {_H.format("'oov:' || token")} % 10 <> 0),
-dict AS (SELECT token, {", ".join(f"round((a.e[{i + 1}] + b.e[{i + 1}]) / sqrt(2.0) * 1000000)::BIGINT AS v{i}" for i in _DIMS)} FROM known JOIN emb a ON a.k = ka JOIN emb b ON b.k = kb),
-encl AS (SELECT dataset, id, count(*) AS n_tokens, {", ".join(f"round(coalesce(sum(v{i}), 0)::DOUBLE / count(*))::BIGINT AS x{i}" for i in _DIMS)} FROM tok LEFT JOIN dict USING (token) GROUP BY dataset, id),
-encr AS (SELECT dataset, id, {", ".join(f"round(coalesce(sum(v{i}), 0)::DOUBLE / count(*))::BIGINT AS x{i}" for i in _DIMS)} FROM tok LEFT JOIN dict USING (token) WHERE {_H.format("'d:' || dataset || ':' || id || ':' || pos")} % 100 >= 10 GROUP BY dataset, id),
-sim AS (SELECT a.dataset, a.id AS id_l, b.id AS id_r, (a.id = b.id)::INT AS y, {", ".join(f"abs(l.x{i} - r.x{i}) AS x{i}" for i in _DIMS)}
-  FROM src a JOIN src b ON a.dataset = b.dataset AND a.block = b.block JOIN encl l ON l.dataset = a.dataset AND l.id = a.id JOIN encr r ON r.dataset = b.dataset AND r.id = b.id),
-cut AS (SELECT *, {_H.format("'split:' || dataset || ':' || id_l || ':' || id_r")} % 100 AS h, {_H.format("'rel:' || dataset || ':' || id_l || ':' || id_r")} % 100 AS hr FROM sim)
-"""
-_X = ", ".join(f"x{i}" for i in _DIMS)
-
-
-def _bayes(train: str, test: str, wide: int) -> str:
-    """CTEs ``scored``: naive Bayes fitted on ``train`` (z list, y, w) and applied to ``test`` (z list, y, key)."""
-    return f"""train AS ({train}), test AS ({test}),
-long AS (SELECT y, w, unnest(z)::DOUBLE AS v, unnest(range({wide})) AS i FROM train),
-fit AS (SELECT y, i, sum(w * v) / sum(w) AS m, greatest(10000.0, sum(w * v * v) / sum(w) - power(sum(w * v) / sum(w), 2)) AS s FROM long GROUP BY y, i),
-prior AS (SELECT y, sum(w) / (SELECT sum(w) FROM train) AS q FROM train GROUP BY y),
-cells AS (SELECT key, y AS truth, unnest(z)::DOUBLE AS v, unnest(range({wide})) AS i FROM test),
-sides AS (SELECT key, truth, f.y, ln(max(q)) - 0.5 * sum(ln(s) + (v - m) * (v - m) / s) AS g FROM cells JOIN fit f USING (i) JOIN prior p ON p.y = f.y GROUP BY key, truth, f.y),
-scored AS (SELECT key, truth, 1 / (1 + exp(greatest(-500.0, least(500.0, sum(CASE WHEN y = 0 THEN g ELSE -g END))))) AS p FROM sides GROUP BY key, truth),
-conf AS (SELECT count(*) FILTER (p >= 0.5 AND truth = 1) AS tp, count(*) FILTER (p >= 0.5 AND truth = 0) AS fp, count(*) FILTER (p < 0.5 AND truth = 1) AS fn, count(*) FILTER (p < 0.5 AND truth = 0) AS tn FROM scored)
-"""
-
-
-def _strategy_sql(strategy: str) -> str:
-    x, zero, neg = f"[{_X}]", f"[{', '.join('0' for _ in _DIMS)}]", f"[{', '.join(f'-x{i}' for i in _DIMS)}]"
-    key = "dataset || ':' || id_l || ':' || id_r AS key"
-    src, lab, unl = "FROM cut WHERE dataset = 'part'", "FROM cut WHERE dataset = 'customer' AND h < 7", "FROM cut WHERE dataset = 'customer' AND h >= 7 AND h < 70"
-    test = "FROM cut WHERE dataset = 'customer' AND h >= 70"
-    rows = {"target_only": f"SELECT {x} AS z, y, 1.0 AS w {lab}", "source_only": f"SELECT {x} AS z, y, 1.0 AS w {src}"}
-    rows["pooled"] = f"{rows['source_only']} UNION ALL {rows['target_only']}"
-    three = lambda a, b, c: f"list_concat(list_concat({a}, {b}), {c})"
-    rows["augmented"] = f"SELECT {three(x, x, zero)} AS z, y, 1.0 AS w {src} UNION ALL SELECT {three(x, zero, x)}, y, 1.0 {lab}"
-    rows["semi"] = rows["augmented"] + "".join(f" UNION ALL SELECT {three(zero, x, neg)}, {y}, 1.0 {unl}" for y in (0, 1))
-    wide = 3 * WIDTH if strategy in ("augmented", "semi") else WIDTH
-    z = three(x, zero, x) if wide > WIDTH else x
-    return f"{_BASE}, {_bayes(rows[strategy], f'SELECT {z} AS z, y, {key} {test}', wide)} SELECT tp, fp, fn, tn, round(CASE WHEN tp = 0 THEN 0.0 ELSE 2.0 * tp / (2 * tp + fp + fn) END, 6) AS f FROM conf"
+    out: dict = {}
+    for module in _MODULES:
+        out |= module.QUERIES
+    return out
 
 
 def oracle_sql() -> dict[str, str]:
-    x, key = f"[{_X}]", "dataset || ':' || id_l || ':' || id_r AS key"
-    near = "OVER (PARTITION BY dataset, id ORDER BY pos ROWS BETWEEN 5 PRECEDING AND 5 FOLLOWING)"
-    around = f"SELECT token, v0, count(v0) {near} AS m, {', '.join(f'sum(v{i}) {near} AS s{i}' for i in _DIMS)} FROM tok LEFT JOIN dict USING (token)"
-    sif = ", ".join(f"round(coalesce(sum(round(1000000 * 0.0001 / (0.0001 + p))::BIGINT * v{i}), 0)::DOUBLE / count(*) / 1000000)::BIGINT AS x{i}" for i in _DIMS)
-    origin = _bayes(f"SELECT {x} AS z, 1 AS y, 1.0 AS w FROM cut WHERE dataset = 'part' UNION ALL SELECT {x}, 0, 1.0 FROM cut WHERE dataset = 'customer' AND h >= 7 AND h < 70", f"SELECT {x} AS z, 1 AS y, [id_l, id_r] AS key FROM cut WHERE dataset = 'part'", WIDTH)
-    rel = _bayes(f"SELECT {x} AS z, (dataset = 'part')::INT AS y, 1.0 AS w FROM cut WHERE hr < 80", f"SELECT {x} AS z, (dataset = 'part')::INT AS y, {key} FROM cut WHERE hr >= 80", WIDTH)
-    return {
-        "tuple_tokens": f"{_BASE} SELECT dataset, id, pos, token FROM tok",
-        "token_freq_domain": f"{_BASE} SELECT token, n, round(p, 9) AS p FROM freq",
-        "oov_tokens": f"{_BASE} SELECT token FROM freq ANTI JOIN dict USING (token)",
-        "encode_mean": f"{_BASE} SELECT * FROM encl",
-        "encode_sif": f"{_BASE} SELECT dataset, id, count(*) AS n_tokens, {sif} FROM tok LEFT JOIN dict USING (token) LEFT JOIN freq USING (token) GROUP BY dataset, id",
-        "context_vectors": f"{_BASE} SELECT token, {', '.join(f'round(sum(round(s{i}::DOUBLE / m)::BIGINT)::DOUBLE / count(*))::BIGINT AS x{i}' for i in _DIMS)} FROM ({around}) WHERE v0 IS NULL AND m > 0 GROUP BY token",
-        "pair_diff": f"{_BASE} SELECT * FROM sim",
-        "instance_weights": f"{_BASE}, {origin} SELECT key[1] AS id_l, key[2] AS id_r, round(p, 6) AS p_origin FROM scored",
-        "relatedness": f"{_BASE}, {rel} SELECT tp, fp, fn, tn, round(coalesce((tp::DOUBLE * tn - fp::DOUBLE * fn) / nullif(sqrt((tp + fp)::DOUBLE * (tp + fn) * (tn + fp) * (tn + fn)), 0), 0), 6) AS mcc, round(2 * ((tp + tn)::DOUBLE / (tp + fp + fn + tn) - 0.5), 6) AS d_a FROM conf",
-    } | {f"transfer_{s}": _strategy_sql(s) for s in STRATEGIES if s != "weighted"}
+    out: dict[str, str] = {}
+    for module in _MODULES:
+        out |= module.SQL
+    return out
