@@ -67,7 +67,7 @@ def sentence_dump(spark, sf_dir):
 def bucketed_vectors(spark, sf_dir):
     """Tuple vectors through a table bucketed by id."""
     left, _ = encodings(spark, sf_dir)
-    return files.save_bucketed(left, "ertransfer_encoded", 8).select("dataset", "id", V.as_text("x").alias("x"))
+    return files.save_bucketed(left, buckets=8).select("dataset", "id", V.as_text("x").alias("x"))
 
 
 @query()

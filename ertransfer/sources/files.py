@@ -60,9 +60,14 @@ def dump_sentences(tuples: DataFrame, path: str) -> str:
     return path
 
 
-def save_bucketed(encoded: DataFrame, table: str, buckets: int = 16) -> DataFrame:
-    """Tuple vectors as a table bucketed and sorted by id: joins of pairs by id then need no exchange on this side."""
-    encoded.write.mode("overwrite").bucketBy(buckets, "id").sortBy("id").format("parquet").saveAsTable(table)
+def save_bucketed(encoded: DataFrame, table: str | None = None, buckets: int = 16) -> DataFrame:
+    """Tuple vectors as a table bucketed and sorted by id: joins of pairs by id then need no exchange on this side.
+
+    The files lie in the shared folder; without a name the table gets one of its own.
+    """
+    path = scratch(encoded.sparkSession, "bucketed")
+    table = table or path.rsplit("/", 1)[1].replace("-", "_")
+    encoded.write.mode("overwrite").bucketBy(buckets, "id").sortBy("id").format("parquet").option("path", path).saveAsTable(table)
     return encoded.sparkSession.table(table)
 
 
