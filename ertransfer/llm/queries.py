@@ -118,5 +118,19 @@ items AS (SELECT r, count(*) AS n_items, string_agg(item_id::VARCHAR, ',' ORDER
 SELECT doc_id, len(w) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(ids, '')) AS items_sha256, n_hit IS NOT NULL AS contaminated FROM dr LEFT JOIN places USING (r) LEFT JOIN items USING (r)"""
 
 
+#: The schedule slot by slot: of the released blocks the one due first, with the weights in whole numbers (thirds).
+OP6_SQL = """WITH RECURSIVE s AS (SELECT source, CASE source WHEN 'src0' THEN 12 WHEN 'src1' THEN 6 WHEN 'src2' THEN 3 ELSE 7 END AS w, row_number() OVER (ORDER BY source NULLS LAST) AS i FROM (SELECT DISTINCT source FROM documents)),
+g AS (SELECT list_reduce(list(w), lambda a, b: gcd(a, b)) AS g FROM s), v AS (SELECT source, (w // g)::BIGINT AS w, i FROM s, g),
+a AS (SELECT list(w ORDER BY i) AS w, sum(w)::BIGINT AS n FROM v),
+t(slot, c, pick) AS (
+  SELECT -1, list_transform(w, lambda x: 0::BIGINT), 0::BIGINT FROM a
+  UNION ALL
+  SELECT slot + 1, list_transform(c, lambda x, j: x + (j = best)::BIGINT), best FROM (
+    SELECT slot, c, n, list_sort(list_filter(list_transform(range(1, len(w) + 1), lambda j: CASE WHEN c[j] < w[j] AND c[j] * n // w[j] <= slot + 1 THEN [((c[j] + 1) * n + w[j] - 1) // w[j], j] END), lambda x: x IS NOT NULL))[1][2] AS best FROM t, a) WHERE slot + 1 < n),
+turns AS (SELECT pick AS i, slot, row_number() OVER (PARTITION BY pick ORDER BY slot) - 1 AS turn FROM t WHERE slot >= 0),
+d AS (SELECT doc_id, source, row_number() OVER (PARTITION BY source ORDER BY doc_id NULLS FIRST) - 1 AS place FROM documents)
+SELECT doc_id, d.source, place, place AS block, place // v.w * n + slot AS position FROM d JOIN v ON v.source IS NOT DISTINCT FROM d.source JOIN turns ON turns.i = v.i AND turn = place % v.w, a"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op8_decontaminate": OP8_SQL}
+    return {"op6_mixing": OP6_SQL, "op8_decontaminate": OP8_SQL}
