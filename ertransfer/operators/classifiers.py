@@ -24,8 +24,8 @@ def make_classifier(kind: str):
     """The MLlib estimator of a kind, over columns features, y and w."""
     common = {"featuresCol": "features", "labelCol": "y", "weightCol": "w"}
     made = {
-        "lr": lambda: LogisticRegression(regParam=REG, maxIter=STEPS, **common),
-        "svm": lambda: LinearSVC(regParam=REG, maxIter=STEPS, **common),
+        "lr": lambda: LogisticRegression(regParam=REG, maxIter=STEPS, standardization=False, **common),
+        "svm": lambda: LinearSVC(regParam=REG, maxIter=STEPS, standardization=False, **common),
         "dt": lambda: DecisionTreeClassifier(maxDepth=DEPTH, seed=SEED, **common),
         "rf": lambda: RandomForestClassifier(numTrees=TREES, maxDepth=DEPTH, seed=SEED, **common),
     }
@@ -34,20 +34,31 @@ def make_classifier(kind: str):
     return made[kind]()
 
 
-def _features(x: Column) -> Column:
-    return array_to_vector(F.transform(x, lambda v: v / float(MICRO)))
+def _features(x: Column, scale: float = MICRO) -> Column:
+    return array_to_vector(F.transform(x, lambda v: v / float(scale)))
+
+
+def common_scale(train: DataFrame) -> float:
+    """Root mean square of the features that are not zero.
+
+    One scale for all places: scaling each by its own spread would blow up the blocks that few rows fill, and with them
+    what the target's few labels say.
+    """
+    v = F.col("v").cast("double")
+    found = train.select(F.explode("x").alias("v")).where("v <> 0").agg(F.sqrt(F.avg(v * v))).first()[0]
+    return found or float(MICRO)
 
 
 class Fitted:
     """A fitted classifier; ``score`` adds p to a table with the features in ``column``."""
 
-    def __init__(self, kind: str, model):
-        self.kind, self.model = kind, model
+    def __init__(self, kind: str, model, scale: float = MICRO):
+        self.kind, self.model, self.scale = kind, model, scale
 
     def score(self, table: DataFrame, column: str = "x", name: str = "p") -> DataFrame:
         if self.kind == "gnb":
             return table.withColumn(name, bayes_probability(self.model, F.col(column)))
-        made = self.model.transform(table.withColumn("features", _features(F.col(column))))
+        made = self.model.transform(table.withColumn("features", _features(F.col(column), self.scale)))
         if self.kind == "svm":  # has a margin only
             p = 1 / (1 + F.exp(-vector_to_array("rawPrediction")[1]))
         else:
@@ -59,14 +70,15 @@ def fit(kind: str, train: DataFrame) -> Fitted:
     """Trains ``kind`` (lr, svm, dt, rf or gnb) on rows (x, y, w); both classes must occur."""
     if kind == "gnb":
         return Fitted(kind, fit_bayes(train))
-    rows = train.select(_features(F.col("x")).alias("features"), F.col("y").cast("double").alias("y"), F.col("w").cast("double").alias("w")).cache()
+    scale = common_scale(train) if kind in ("lr", "svm") else float(MICRO)
+    rows = train.select(_features(F.col("x"), scale).alias("features"), F.col("y").cast("double").alias("y"), F.col("w").cast("double").alias("w")).cache()
     try:
         counts = {r.y: r.n for r in rows.groupBy("y").agg(F.count("*").alias("n")).collect()}
         if len(counts) != 2:
             raise ValueError("training pairs of both classes are needed")
         # Every step of the optimiser is a job: a few thousand rows a task outweigh its start.
         few = rows.coalesce(sum(counts.values()) // ROWS_A_TASK + 1)
-        return Fitted(kind, make_classifier(kind).fit(few))
+        return Fitted(kind, make_classifier(kind).fit(few), scale)
     finally:
         rows.unpersist()
 

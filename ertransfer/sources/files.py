@@ -72,8 +72,10 @@ def save_bucketed(encoded: DataFrame, table: str | None = None, buckets: int = 1
 
 
 def save_model(fitted, path: str) -> str:
-    """A fitted MLlib classifier."""
-    fitted.model.write().overwrite().save(path)
+    """A fitted MLlib classifier and the scale of its features."""
+    fitted.model.write().overwrite().save(f"{path}/model")
+    spark = SparkSession.active()
+    spark.createDataFrame([(float(fitted.scale),)], "scale double").coalesce(1).write.mode("overwrite").parquet(f"{path}/scale")
     return path
 
 
@@ -83,4 +85,5 @@ def load_model(kind: str, path: str):
     from ertransfer.operators.classifiers import Fitted
 
     kinds = {"lr": LogisticRegressionModel, "svm": LinearSVCModel, "dt": DecisionTreeClassificationModel, "rf": RandomForestClassificationModel}
-    return Fitted(kind, kinds[kind].load(path))
+    scale = SparkSession.active().read.parquet(f"{path}/scale").first().scale
+    return Fitted(kind, kinds[kind].load(f"{path}/model"), scale)

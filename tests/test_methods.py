@@ -49,16 +49,15 @@ def test_logistic_regression_against_newton(spark):
     y = (x @ [1.0, -2.0, 0.5] + rng.normal(size=200) > 0.3).astype(int)
     w = rng.uniform(0.5, 2, 200)
     x = np.round(x * 1e6) / 1e6
-    model = C.fit("lr", rows_of(spark, x, y, w)).model
-    # The penalty is on standardised features; the constant is free.
-    mean = np.average(x, axis=0, weights=w)
-    std = np.sqrt(np.average((x - mean) ** 2, axis=0, weights=w))
-    z = np.c_[x / std, np.ones(200)]
+    fitted = C.fit("lr", rows_of(spark, x, y, w))
+    # One scale for all features; the constant is free of the penalty.
+    scale = np.sqrt((x**2).mean())
+    z = np.c_[x / scale, np.ones(200)]
     b, pen = np.zeros(4), np.array([C.REG] * 3 + [0])
     for _ in range(50):
         p = 1 / (1 + np.exp(-z @ b))
         b -= np.linalg.solve((z * (w * p * (1 - p))[:, None]).T @ z / w.sum() + np.diag(pen), z.T @ (w * (p - y)) / w.sum() + pen * b)
-    assert np.abs(np.r_[np.array(model.coefficients) - b[:3] / std, model.intercept - b[3]]).max() < 2e-2
+    assert abs(fitted.scale / 1e6 - scale) < 1e-6 and np.abs(np.r_[np.array(fitted.model.coefficients) - b[:3], fitted.model.intercept - b[3]]).max() < 1e-3
 
 
 def test_maps_and_weights(spark):
