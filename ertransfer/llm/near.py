@@ -1,4 +1,8 @@
-"""Groups of near copies among whole texts: MinHash bands, exact Jaccard over word shingles, connected components.
+"""Groups of near copies among whole texts: candidates, exact Jaccard over word shingles, connected components.
+
+Candidates come from SimHash fingerprints by multi-index hashing, and from MinHash bands: at a Jaccard similarity of
+0.8 about 10 of 64 bits differ, which small Hamming balls cannot reach. Texts of linked fingerprints meet in one more
+band; every candidate is verified exactly, whichever way it was found.
 
 Only texts that share a band with another one are shingled again and brought together; every band is walked whole, so
 a pair at the threshold is lost only if none of the bands agrees (a chance below 1e-4 at the threshold).
@@ -13,8 +17,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ertransfer.durable import release, settle
 from ertransfer.llm.banding import WIDTH, BandRows, distinct_sets, linked
 from ertransfer.llm.batches import text_pieces
+from ertransfer.llm.simhash import fingerprint_links, fingerprints
 from ertransfer.llm.words import shingles_of, words_of
 
 
@@ -51,6 +57,21 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([piece.rows.column("key"), pa.array([s.tobytes() for s in sets], pa.binary())], ["key", "shingles"])
 
 
+def _fingerprint_bands(texts: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
+    """Rows (band, key): texts of one fingerprint share a band, and so do those of two linked ones; what to release.
+
+    A band holds distinct texts a few bits apart, never a chain of links. Keys travel as 64 bits: two that agree there
+    only meet in vain.
+    """
+    named = texts.select("key", F.xxhash64("key").alias("id"), "text")
+    prints = settle(fingerprints(named, "id", "text", WIDTH).distinct(), "prints")
+    links = settle(fingerprint_links(prints.select("fp").distinct()).distinct(), "near")
+    pair = F.xxhash64(F.lit("pair"), "a", "b").alias("band")
+    ends = links.select(pair, F.col("a").alias("fp")).union(links.select(pair, F.col("b").alias("fp")))
+    bands = prints.select(F.xxhash64(F.lit("same"), "fp").alias("band"), "id").union(ends.join(prints, "fp").select("band", "id"))
+    return bands.join(named.select("id", "key").distinct(), "id").select("band", "key"), [prints, links]
+
+
 def near_copies(texts: DataFrame, least: float = 0.8) -> DataFrame:
     """Rows (node, component) for the keys of ``texts`` (key, text) that are linked to another key.
 
@@ -63,4 +84,7 @@ def near_copies(texts: DataFrame, least: float = 0.8) -> DataFrame:
         asked = texts.join(keys, "key", "left_semi").select("key", "text")
         return asked.mapInArrow(_sets, "key binary, shingles binary").groupBy("key").agg(F.first("shingles").alias("shingles"))
 
-    return linked(texts.mapInArrow(_bands(least), "band long, key binary"), shingles, least)
+    alike, settled = _fingerprint_bands(texts)
+    groups = linked(texts.mapInArrow(_bands(least), "band long, key binary").union(alike), shingles, least)
+    release(*settled)
+    return groups

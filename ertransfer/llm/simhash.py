@@ -140,6 +140,18 @@ def _links(bits: int):
     return run
 
 
+def fingerprint_links(distinct: DataFrame, bits: int = 3) -> DataFrame:
+    """Rows (a, b) that link the distinct fingerprints (fp) at ``bits`` or fewer differing bits.
+
+    Every pair of small buckets, a spanning forest of large ones; a pair found in both segments comes twice.
+    """
+    if not 0 <= bits <= 3:
+        raise ValueError("two segments with balls of radius one find links of 3 bits at most")
+    n = partitions_for(distinct.sparkSession)
+    keyed = distinct.select("fp").mapInArrow(_probes, "key long, fp long").repartition(n, "key").sortWithinPartitions("key")
+    return keyed.mapInArrow(_links(bits), "a long, b long")
+
+
 def near_duplicate_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3, bits: int = 3) -> DataFrame:
     """Rows (id, fp, component): documents whose fingerprints are linked, directly or in steps, share a component.
 
@@ -147,14 +159,9 @@ def near_duplicate_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str
     least id in it. Null ids group like others and never lead. Texts without words share fingerprint zero; repeated
     rows stay repeated; other columns of ``docs`` are ignored; an empty table gives no rows.
     """
-    if not 0 <= bits <= 3:
-        raise ValueError("two segments with balls of radius one find links of 3 bits at most")
-    spark = docs.sparkSession
     prints = settle(fingerprints(docs, id_col, text_col, width), "prints")
     first = settle(prints.groupBy("fp").agg(F.min("id").alias("first"), F.count("*").alias("n")), "fp")
-    n = partitions_for(spark)
-    keyed = first.select("fp").mapInArrow(_probes, "key long, fp long").repartition(n, "key").sortWithinPartitions("key")
-    linked = connected_components(keyed.mapInArrow(_links(bits), "a long, b long"))
+    linked = connected_components(fingerprint_links(first, bits))
     members = linked.join(first, linked.node == first.fp).select("node", "component", "first")
     lead = members.groupBy("component").agg(F.min("first").alias("lead"))
     of_linked = members.join(lead, "component").select(F.col("node").alias("fp"), "lead")
