@@ -16,7 +16,6 @@ from math import gcd, lcm
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ertransfer.durable import partitions_for, settle
 
@@ -62,21 +61,34 @@ def schedule(whole: dict[str | None, int]) -> list[str | None]:
     return out
 
 
-def _ranked(rows: DataFrame, source: Column, order: list[Column]) -> DataFrame:
-    """Adds ``place``, the row's place inside its source, without one task for a hot source."""
-    spark = rows.sparkSession
-    kept = rows.select(F.struct(*rows.columns).alias("row"), source.alias("src"), *[o.alias(f"o{i}") for i, o in enumerate(order)])
+#: Bits below the partition in Spark's ascending row numbers.
+ROW_BITS = 33
+
+
+def _laid_out(rows: DataFrame, source: Column, order: list[Column]) -> DataFrame:
+    """Rows (row struct, src, at, part), settled by source and order: ``at`` ascends with them, by one inside a part.
+
+    Whole rows are dealt once, by ranges that split a hot source; their shuffle files go when they are settled.
+    """
     keys = [f"o{i}" for i in range(len(order))]
-    laid = kept.repartitionByRange(partitions_for(spark, 2), *keys).withColumn("part", F.spark_partition_id())
-    laid = settle(laid, "mix")
-    counts = laid.groupBy("src", "part").agg(F.count("*").alias("n"))
-    # One row for each source and partition: sources times partitions rows, summed up per source.
-    before = counts.select("src", "part", (F.sum("n").over(Window.partitionBy("src").orderBy("part")) - F.col("n")).alias("before"))
-    inside = Window.partitionBy("part", "src").orderBy(*keys)
-    placed = laid.withColumn("inner", F.row_number().over(inside) - 1).alias("x")
-    return placed.join(before.alias("y"), (F.col("x.part") == F.col("y.part")) & F.col("x.src").eqNullSafe(F.col("y.src"))).select(
-        "row", F.col("x.src").alias("src"), (F.col("before") + F.col("inner")).alias("place")
-    )
+    kept = rows.select(F.struct(*rows.columns).alias("row"), source.alias("src"), *[o.alias(k) for k, o in zip(keys, order, strict=True)])
+    laid = kept.repartitionByRange(partitions_for(rows.sparkSession, 2), "src", *keys).sortWithinPartitions("src", *keys)
+    laid = settle(laid.select("row", "src", F.monotonically_increasing_id().alias("at")), "mix", tidy=True)
+    return laid.withColumn("part", F.shiftright("at", ROW_BITS))
+
+
+def _runs(laid: DataFrame) -> list[tuple[str | None, int, int]]:
+    """(src, part, shift) for each source in each part: ``at`` plus the shift is the row's place inside its source.
+
+    A source's parts follow each other, so there are no more of these than sources and parts together.
+    """
+    counted = laid.groupBy("src", "part").agg(F.min("at").alias("first"), F.count("*").alias("n")).collect()
+    before: dict[str | None, int] = {}
+    out = []
+    for r in sorted(counted, key=lambda r: r["part"]):
+        out.append((r["src"], r["part"], before.get(r["src"], 0) - r["first"]))
+        before[r["src"]] = before.get(r["src"], 0) + r["n"]
+    return out
 
 
 def mix(rows: DataFrame, weights: dict[str | None, float] | None = None, source_col: str = "source", order_cols: tuple[str, ...] = ("doc_id", "text"), block: int = 1) -> DataFrame:
@@ -87,25 +99,26 @@ def mix(rows: DataFrame, weights: dict[str | None, float] | None = None, source_
     source; repeated rows and ties of the order keep separate places; an empty table gives no rows.
     """
     spark = rows.sparkSession
-    found = [r[0] for r in rows.select(F.col(source_col).cast("string")).distinct().collect()]  # a row for each source
+    order = [F.col(c) if c != "text" else F.xxhash64(c) for c in order_cols]
+    laid = _laid_out(rows, F.col(source_col).cast("string"), order)
+    runs = _runs(laid)
     given = {s: exact(w) for s, w in (weights or {}).items()}
     mean = sum(given.values()) / len(given) if given else Fraction(1)
-    shares = {s: given.get(s, mean) for s in found}
-    order = [F.col(c) if c != "text" else F.xxhash64(c) for c in order_cols]
-    ranked = _ranked(rows, F.col(source_col).cast("string"), order)
+    shares = {s: given.get(s, mean) for s, _, _ in runs}
     if not shares:
         shares = {None: Fraction(1)}
     whole = whole_weights(shares)
     slots, seen = [], dict.fromkeys(whole, 0)
     for slot, s in enumerate(schedule(whole)):
-        slots.append((s, seen[s], slot, whole[s]))
+        slots.append((s, seen[s], slot))
         seen[s] += 1
-    table = spark.createDataFrame(slots, "name string, turn long, slot long, per_period long")  # a row for each slot
-    per = table.select("name", "per_period").distinct()
+    spots = spark.createDataFrame(slots, "name string, turn long, slot long")  # a row for each slot
+    shifts = spark.createDataFrame([(*r, whole[r[0]]) for r in runs], "name string, of_part long, shift long, per_period long")
     length = sum(whole.values())
-    turned = ranked.join(F.broadcast(per), F.col("src").eqNullSafe(F.col("name"))).drop("name")
+    # Both tables are carried to the rows, which stay where they were settled.
+    turned = laid.join(F.broadcast(shifts), F.col("src").eqNullSafe(F.col("name")) & (F.col("part") == F.col("of_part"))).drop("name")
+    turned = turned.withColumn("place", F.col("at") + F.col("shift"))
     turned = turned.withColumn("block", F.floor(F.col("place") / F.lit(block))).withColumn("turn_of", F.col("block") % F.col("per_period"))
-    spots = table.drop("per_period")
     joined = turned.join(F.broadcast(spots), F.col("src").eqNullSafe(F.col("name")) & (F.col("turn_of") == F.col("turn")))
     slot = F.floor(F.col("block") / F.col("per_period")) * length + F.col("slot")
     return joined.select("row", "src", "place", "block", (slot * block + F.col("place") % block).cast("long").alias("position"))
